@@ -7,10 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from utilmine.llm import mixing, quality_rules, sharding
+from utilmine.llm import mixing, quality_rules, sharding, substring_dedup
 from utilmine.llm.shared import documents
 
 
+def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.dedup_passages(documents(spark, sf_dir))
+
+
 def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = sharding.shards(documents(spark, sf_dir).select("doc_id", "text"), 40)
     text = F.coalesce(F.col("text"), F.lit(""))
@@ -28,6 +32,7 @@ def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_substring_dedup": op1_substring_dedup,
     "op2_sharding": op2_sharding,
     "op7_quality_rules": op7_quality_rules,
     "op9_mixing": op9_mixing,
