@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
-from utilmine.llm.shared import shared_folder
+from utilmine.llm.shared import broadcast_if_small, shared_folder
 
 RECORD_BYTES = 16
 
@@ -72,7 +72,7 @@ def read_shards(spark, path: str, schema: StructType) -> DataFrame:
     before = Window.partitionBy("__shard").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
     counts = rows.groupBy("__shard", "__bucket").agg(F.count(F.lit(1)).alias("n"))
     offsets = counts.select("__shard", "__bucket", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("__offset"))
-    placed = rows.join(offsets, ["__shard", "__bucket"])
+    placed = rows.join(broadcast_if_small(offsets), ["__shard", "__bucket"])
     return placed.select(*schema.names, F.col("__shard").alias("shard"), (F.col("__offset") + F.col("__place")).alias("slot"))
 
 
