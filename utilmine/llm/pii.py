@@ -123,7 +123,7 @@ def _made(kind: str, rng: np.random.Generator) -> tuple[str, int]:
         cut = lambda x, by: by.join(x[i : i + 4] for i in range(0, 16, 4))
         return one((cut(d, " "), 1), (cut(d, "."), 1), (cut(d, "/"), 1), (cut(d, " - "), 1), (cut(d, "_"), 1), (cut(wrong, " "), 0), (cut(wrong, "."), 0), (wrong, 0), (digits(13), 0), (digits(20), 0), (f"{n(1990, 2030)}-{n(10, 12)}-{n(10, 28)} {n(10, 23)}", 0))
     a, b, c = digits(3), digits(3), digits(4)
-    return one((f"({a}) {b}-{c}", 1), (f"{a}-{b}-{c}", 1), (f"00{n(30, 49)} {digits(3)} {digits(7)}", 1), (f"+{n(1, 99)} ({a}) {b}-{c}", 1), (f"{a}.{b}.{c}", 1), (f"{n(1900, 2030)}-{n(10, 12)}-{n(10, 28)}", 0), (f"{n(10, 28)}/{n(10, 12)}/{n(1900, 2030)}", 0), (f"{n(10, 99)}-{n(10, 99)}", 0), (f"{digits(3)} {digits(3)} {digits(3)}", 0), (f"{n(10, 23)}.{n(10, 59)}", 0), (f"{digits(2)}.{digits(3)}.{digits(3)}", 0), (f"{digits(5)}-{digits(4)}", 0), (f"{digits(3)}-{digits(4)}", 0))
+    return one((f"({a}) {b}-{c}", 1), (f"{a}-{b}-{c}", 1), (f"00{n(30, 49)} {digits(3)} {digits(7)}", 1), (f"+{n(1, 99)} ({a}) {b}-{c}", 1), (f"{a}.{b}.{c}", 1), (f"{n(1900, 2030)}-{n(10, 12)}-{n(10, 28)}", 0), (f"{n(10, 28)}/{n(10, 12)}/{n(1900, 2030)}", 0), (f"{n(1900, 2030)}-{n(10, 12)}-{n(10, 28)} {n(10, 23)}", 0), (f"{n(10, 28)}.{n(10, 12)}.{n(1900, 2030)}", 0), (f"{n(10, 99)}-{n(10, 99)}", 0), (f"{digits(3)} {digits(3)} {digits(3)}", 0), (f"{n(10, 23)}.{n(10, 59)}", 0), (f"{digits(2)}.{digits(3)}.{digits(3)}", 0), (f"{digits(5)}-{digits(4)}", 0), (f"{digits(3)}-{digits(4)}", 0))
 
 
 @lru_cache(maxsize=1)
