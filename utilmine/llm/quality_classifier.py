@@ -171,3 +171,11 @@ def classify(docs: DataFrame, labels: DataFrame, host: Column | None = None, pat
     odds = _logit(F.col("__bad")) + site_weight * (_logit(F.col("path_rate")) - _logit(F.col("rate")))
     quality = 1 / (1 + F.exp(odds))
     return joined.select(*keep, (1 - F.col("__bad")).alias("evidence"), (1 - F.col("path_rate")).alias("site_rate"), quality.alias("quality"), (quality >= threshold).alias("kept"))
+
+
+def without_rejected(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
+    """docs without the documents that classify rejects."""
+    extra = [c for c in docs.columns if not c.startswith("__")]
+    renamed = docs.select(*(F.col(c).alias(f"__in_{c}") for c in extra), *extra)
+    kept = classify(renamed, labels, keep=[f"__in_{c}" for c in extra], **options).where("kept")
+    return kept.select(*(F.col(f"__in_{c}").alias(c) for c in extra))
