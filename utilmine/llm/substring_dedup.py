@@ -233,16 +233,18 @@ def settled_spans(rows: DataFrame, passages: Passages) -> DataFrame:
     """key, at, n: the n windows from word at of the rows with this key start in an earlier document too."""
     ids = rows.select("text", "key", "doc")
     anchors = written(ids.mapInArrow(_anchor_rows(passages), "context long, around long, doc long, key long, at int, n int"))
-    shared = anchors.groupBy("context").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high").select("context")
+    # tables that are joined are written first: a join of two plain exchanges can be split where a key is hot
+    shared = written(anchors.groupBy("context").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high").select("context"))
     known = written(anchors.join(shared, "context"))
-    groups = known.groupBy("context", "around").agg(F.min("doc").alias("least"))
-    forms = groups.groupBy("context").agg(F.count(F.lit(1)).alias("forms"))
-    told = written(known.join(groups.join(forms, "context"), ["context", "around"]).select("key", "doc", "at", "n", "least", "forms"))
+    groups = written(known.groupBy("context", "around").agg(F.min("doc").alias("least")))
+    forms = written(groups.groupBy("context").agg(F.count(F.lit(1)).alias("forms")))
+    several = written(groups.join(forms, "context"))
+    told = written(known.join(several, ["context", "around"]).select("key", "doc", "at", "n", "least", "forms"))
     settled = told.where("least < doc").select("key", "at", "n")
     open_at = told.where("least = doc and forms > 1").groupBy("key").agg(F.collect_set("at").alias("open_at"))
     wanted = ids.withColumn("bucket", F.pmod("key", F.lit(BUCKETS))).join(_buckets(open_at), "bucket", "left_semi").join(open_at, "key")
     windows = written(wanted.select("text", "key", "doc", "open_at").mapInArrow(_window_rows(passages), "context long, window long, doc long, key long, at int"))
-    first = windows.groupBy("context", "window").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high").select("context", "window", "low")
+    first = written(windows.groupBy("context", "window").agg(F.min("doc").alias("low"), F.max("doc").alias("high")).where("low < high").select("context", "window", "low"))
     return settled.union(windows.join(first, ["context", "window"]).where("low < doc").select("key", "at", F.lit(1).alias("n")))
 
 
