@@ -4,9 +4,9 @@ Each source gets a word budget; a budget of q full passes and a rest takes every
 the order of their keys -ln(u)/w until the rest is met. u comes from a hash of the row, so reruns agree, and w is the
 quality weight of the document.
 
-Nothing but numbers is shuffled. Sources are cut at a key, found in three aggregates: words by source; words by
-source and key bucket (buckets hold about bucket_rows documents, so a source with a third of all rows is dealt over many
-tasks); and a running sum inside the one bucket where the rest runs out. The cuts, a row for each source, are
+Texts are measured once, into a table of numbers. Nothing but numbers is shuffled. Sources are cut at a key, found in three aggregates: words by source; words by
+source and key bucket (a source of n documents has sqrt(n) buckets of about sqrt(n) documents, so that one with a third of
+all rows leaves no large group to any task); and a running sum inside the one bucket where the rest runs out. The cuts, a row for each source, are
 joined to the documents, so texts never leave their scan.
 
 Defined results: a null text has size 0; a null source is a source, the last; empty tables give empty results; documents of
@@ -63,12 +63,12 @@ def keyed(docs: DataFrame, seed: int) -> DataFrame:
     return docs.withColumns({"__size": n_words(text), "__key": exponential_key(quality_weight(text), F.col("doc_id"), text, seed=seed), "__tie": tie, "__source": F.col("source")})
 
 
-def cuts(rows: DataFrame, bucket_rows: int) -> DataFrame:
+def cuts(rows: DataFrame) -> DataFrame:
     """For each source: source_size, target, the full passes and the key and tie of the last document that the rest takes."""
     sizes = rows.groupBy(F.col("__source").alias("source")).agg(F.sum("__size").alias("source_size"), F.count(F.lit(1)).alias("n_docs"))
     targets = target_table(sizes)
     passes = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("int")
-    targets = targets.withColumns({"passes": passes, "rest": F.col("target") - passes * F.col("source_size"), "buckets": F.ceil(F.col("n_docs") / bucket_rows)})
+    targets = targets.withColumns({"passes": passes, "rest": F.col("target") - passes * F.col("source_size"), "buckets": F.ceil(F.sqrt(F.col("n_docs").cast("double")))})
     targets = broadcast_if_small(written(targets))
     placed = rows.select("__source", "__size", "__key", "__tie").join(targets, F.col("__source").eqNullSafe(F.col("source")))
     placed = placed.withColumn("bucket", F.least(F.col("buckets") - 1, F.floor((1 - F.exp(-F.col("__key"))) * F.col("buckets"))))
@@ -86,10 +86,8 @@ def cuts(rows: DataFrame, bucket_rows: int) -> DataFrame:
     return targets.join(last, F.col("source").eqNullSafe(F.col("c_source")), "left").select("source", "source_size", "target", "passes", "rest", "cut_key", "cut_tie")
 
 
-def _with_copies(docs: DataFrame, seed: int, bucket_rows: int) -> DataFrame:
-    """docs with __size, __copies and the columns of its source's cut, all named __*."""
-    rows = keyed(docs, seed)
-    cut = written(cuts(rows, bucket_rows))
+def _with_copies(rows: DataFrame, cut: DataFrame) -> DataFrame:
+    """rows of keyed() with __copies and the columns of their source's cut, all named __*."""
     cut = broadcast_if_small(cut.select(*(F.col(c).alias(f"__cut_{c}") for c in cut.columns)))
     joined = rows.join(cut, F.col("__source").eqNullSafe(F.col("__cut_source")))
     key, at = F.col("__key"), F.col("__cut_cut_key")
@@ -97,12 +95,19 @@ def _with_copies(docs: DataFrame, seed: int, bucket_rows: int) -> DataFrame:
     return joined.withColumn("__copies", F.col("__cut_passes") + F.coalesce(more, F.lit(False)).cast("int"))
 
 
-def mix(docs: DataFrame, seed: int = 17, bucket_rows: int = 20_000) -> DataFrame:
+def _measured(docs: DataFrame, seed: int) -> DataFrame:
+    return written(keyed(docs, seed).select("doc_id", "__source", "__size", "__key", "__tie"))
+
+
+def mix(docs: DataFrame, seed: int = 17) -> DataFrame:
     """A row for each document: doc_id, size, source_size, target of its source, and copies, the times that the mix takes it (0 to 3)."""
-    return _with_copies(docs, seed, bucket_rows).select("doc_id", F.col("__size").alias("size"), F.col("__cut_source_size").alias("source_size"), F.col("__cut_target").alias("target"), F.col("__copies").alias("copies"))
+    rows = _measured(docs, seed)
+    taken = _with_copies(rows, written(cuts(rows)))
+    return taken.select("doc_id", F.col("__size").alias("size"), F.col("__cut_source_size").alias("source_size"), F.col("__cut_target").alias("target"), F.col("__copies").alias("copies"))
 
 
-def mixed_documents(docs: DataFrame, seed: int = 17, bucket_rows: int = 20_000) -> DataFrame:
+def mixed_documents(docs: DataFrame, seed: int = 17) -> DataFrame:
     """The mix itself: each document as often as it is taken, with the columns of docs."""
-    taken = _with_copies(docs, seed, bucket_rows).where("__copies > 0")
+    cut = written(cuts(_measured(docs, seed)))
+    taken = _with_copies(keyed(docs, seed), cut).where("__copies > 0")
     return taken.withColumn("__copy", F.explode(F.array_repeat(F.lit(0), F.col("__copies")))).select(*docs.columns)
