@@ -48,26 +48,29 @@ def scatter(docs: DataFrame, shards: int, bucket_bytes: int, seed: int) -> tuple
 def _shuffler(seed: int, by: tuple[str, ...]):
     def shuffle(bucket: pa.Table) -> pa.Table:
         shard, number = bucket["__shard"][0].as_py(), bucket["__bucket"][0].as_py()
-        ordered = bucket.take(pc.sort_indices(bucket, [(c, "ascending") for c in by]))
-        drawn = np.random.Generator(np.random.PCG64([seed, shard, number])).permutation(bucket.num_rows)  # Fisher-Yates
-        return ordered.take(pa.array(drawn)).append_column("__place", pa.array(np.arange(bucket.num_rows, dtype=np.int64)))
+        ordered = pc.sort_indices(bucket, [(c, "ascending") for c in by]).to_numpy()
+        drawn = np.random.Generator(np.random.PCG64([seed, shard, number])).permutation(ordered)  # Fisher-Yates
+        return bucket.take(pa.array(drawn)).append_column("__place", pa.array(np.arange(bucket.num_rows, dtype=np.int64)))
 
     return shuffle
 
 
-def write_shards(docs: DataFrame, path: str, shards: int = 40, bucket_bytes: int = 24 << 20, seed: int = 7) -> None:
-    """Writes the records of docs below path as __shard=s/__bucket=b/*.parquet, shuffled, each with its place in the bucket."""
+def write_shards(docs: DataFrame, path: str, shards: int = 40, bucket_bytes: int = 8 << 20, seed: int = 7) -> None:
+    """Writes the records of docs below path as __shard=s/*.parquet, shuffled, each with its bucket and place in the bucket.
+
+    bucket_bytes is what a task may hold of a bucket, a few times over; a shard has as many buckets as its bytes need.
+    """
     spread, buckets = scatter(docs, shards, bucket_bytes, seed)
     parts = max(shards * buckets, docs.sparkSession.sparkContext.defaultParallelism) if shards * buckets < 100_000 else 100_000
     dealt = spread.repartition(parts, "__shard", "__bucket")
     schema = StructType([*spread.schema.fields, StructField("__place", LongType())])
     shuffled = dealt.groupBy("__shard", "__bucket").applyInArrow(_shuffler(seed, ("doc_id", "text")), schema)
-    shuffled.sortWithinPartitions("__shard", "__bucket", "__place").write.partitionBy("__shard", "__bucket").parquet(path)
+    shuffled.sortWithinPartitions("__shard", "__bucket", "__place").write.partitionBy("__shard").parquet(path)
 
 
 def read_shards(spark, path: str, schema: StructType) -> DataFrame:
     """The written records with shard and slot. Offsets come from counts by bucket, added up within each shard."""
-    full = StructType([*schema.fields, StructField("__place", LongType())]).add("__shard", IntegerType()).add("__bucket", IntegerType())
+    full = StructType([*schema.fields, StructField("__bucket", IntegerType()), StructField("__place", LongType()), StructField("__shard", IntegerType())])
     rows = spark.read.schema(full).parquet(path)
     before = Window.partitionBy("__shard").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
     counts = rows.groupBy("__shard", "__bucket").agg(F.count(F.lit(1)).alias("n"))
