@@ -2,12 +2,15 @@
 
 1. Document frequencies of five-word shingles are counted over all documents into a table of 2**18 buckets, fixed at any
    size of the input: a rare shingle shares a bucket with others and looks as rare as all of them, a frequent one stands out.
-   A shingle weighs tf * (1/2 + idf/2), idf = log(1 + N/df) / log(1 + N).
+   A shingle weighs (1 + ln tf) * (1/2 + idf/2), idf = log(1 + N/df) / log(1 + N); plain tf would make texts near
+   that share nothing but one phrase repeated a hundred times.
 2. Each text gets 56 consistent weighted samples; four of them make a band key. Texts of equal words are one node.
 3. In each bucket (equal band keys) every node is compared with the bucket's least node; verified pairs become links, links components.
-   In buckets that still hold several components, members are compared with a drawn member of another
-   component, three times; what still differs then is compared pair by pair, if the samples do not exclude 0.8.
-   So groups of copies cost one comparison for each member, not for each pair, and no link is given up.
+   In buckets that still hold several components, members are compared with a drawn member of another component.
+   So groups of copies cost a few comparisons for each member, not one for each pair. No link is given up: what still
+   differs then is compared pair by pair in buckets of up to 32 (if the samples do not exclude 0.8); larger buckets that overlap
+   are put together, their members dealt into blocks of bounded size, and each pair of blocks is compared as matrices
+   in one task, which returns a spanning set of links and no pairs.
 4. A pair counts as near if the weighted or the plain Jaccard similarity of its shingles is 0.8 or more.
 
 Defined results: a null text is an empty one; texts without words are copies of one another; a text of one to four words has one shingle, its
@@ -36,7 +39,9 @@ BLOCK = 1 << 18
 BUCKETS = 1 << 20
 #: A pair at similarity 0.8 agrees in fewer of its 56 samples than this with a chance below 1e-5.
 LEAST_AGREEING = 32
-STAR_ROUNDS = 3
+STAR_ROUNDS = 1
+#: Members of a bucket that are compared pair by pair; nodes and bytes of a block of a larger one; columns of a matrix.
+SMALL, BLOCK_NODES, BLOCK_BYTES, COLUMNS = 32, 800, 4 << 20, 1024
 
 _draw = np.random.default_rng(20240229)
 _R = _draw.gamma(2.0, 1.0, 1 << 16).astype(np.float32)
@@ -122,7 +127,7 @@ def _sketcher(table):
                 node, check = (span_hashes(x, block.at[:-1], block.at[1:], WORD_POWERS) + mix(block.counts.astype(np.uint64)) for x in (one, two))
                 keys, drawn = [None] * len(block), [None] * len(block)
                 if len(owner):
-                    found = samples(owner, shingle, count * weight_of[bucket_of(shingle)])
+                    found = samples(owner, shingle, (1 + np.log(count)) * weight_of[bucket_of(shingle)])
                     bands = np.zeros((len(found), BANDS), np.uint64)
                     for r in range(ROWS):
                         bands = mix(bands * np.uint64(0x2545F4914F6CDD1D) + found[:, r::ROWS].astype(np.uint64) + np.uint64(r))
@@ -143,7 +148,7 @@ def similarity(a: bytes, b: bytes, weight_of: np.ndarray) -> float:
     if not first.any() or not second.any():
         return float(not first.any() and not second.any())
     both, i, j = np.intersect1d(shingle[first], shingle[second], assume_unique=True, return_indices=True)
-    w = count * weight_of[bucket_of(shingle)]
+    w = (1 + np.log(count)) * weight_of[bucket_of(shingle)]
     u, v = w[first], w[second]
     shared = np.minimum(u[i], v[j]).sum()
     return max(float(shared / (u.sum() + v.sum() - shared)), len(both) / (len(u) + len(v) - len(both)))
@@ -160,6 +165,72 @@ def _verifier(table):
     return rows
 
 
+def _entries(block: Block, weight_of: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Text, column and weight such that products of columns, added up, are the weight that two texts share; and each text's whole weight and number of shingles.
+
+    The least of two counts is a sum over levels: a shingle of count c has the columns (shingle, 1) to (shingle, c).
+    """
+    owner, shingle, count = weighted_shingles(block)
+    idf = weight_of[bucket_of(shingle)].astype(float)
+    at = np.repeat(np.arange(len(owner)), count)
+    level = np.arange(len(at)) - np.repeat(np.cumsum(count) - count, count) + 1
+    step = 1 + np.log(level) - np.where(level > 1, 1 + np.log(np.maximum(level - 1, 1)), 0)
+    _, column = np.unique(shingle[at] * np.uint64(0x9E3779B97F4A7C15) + mix(level.astype(np.uint64)), return_inverse=True)
+    column[level == 1] = 2 * column[level == 1]
+    column[level > 1] = 2 * column[level > 1] + 1  # odd columns are higher levels
+    weight = idf[at] * step
+    return owner[at], column, weight, np.bincount(owner, (1 + np.log(count)) * idf, len(block)), np.bincount(owner, minlength=len(block))
+
+
+def _spanning(near: np.ndarray) -> np.ndarray:
+    """The least index of the component of each row of a symmetric matrix of links."""
+    label = np.arange(len(near))
+    near = near | np.eye(len(near), dtype=bool)
+    while True:
+        least = np.array([label[row].min() for row in near])
+        least = least[least]
+        if (least == label).all():
+            return label
+        label = least
+
+
+def block_links(texts: pa.Array, weight_of: np.ndarray, threshold: float) -> np.ndarray:
+    """For each text the first of those that it is linked to, directly or over others of these texts."""
+    block = next(tokens.blocks(texts, 1 << 62))
+    owner, column, weight, whole, sizes = _entries(block, weight_of)
+    n = len(block)
+    shared = np.bincount(column)[column] > 1
+    owner, weight = owner[shared], weight[shared]
+    plain = column[shared] % 2 == 0
+    _, column = np.unique(column[shared], return_inverse=True)
+    both, count = np.zeros((n, n), np.float32), np.zeros((n, n), np.float32)
+    order = np.argsort(column, kind="stable")
+    cuts = np.searchsorted(column[order], np.arange(0, column.max(initial=-1) + COLUMNS, COLUMNS))
+    for first, (a, b) in zip(range(0, int(column.max(initial=-1)) + 1, COLUMNS), zip(cuts[:-1], cuts[1:], strict=True), strict=False):
+        part = order[a:b]
+        m = np.zeros((n, COLUMNS), np.float32)
+        m[owner[part], column[part] - first] = np.sqrt(weight[part])
+        both += m @ m.T
+        own = part[plain[part]]
+        m = np.zeros((n, COLUMNS), np.float32)
+        m[owner[own], column[own] - first] = 1
+        count += m @ m.T
+    weighted = both / np.maximum(whole[:, None] + whole[None, :] - both, 1e-9)
+    jaccard = count / np.maximum(sizes[:, None] + sizes[None, :] - count, 1)
+    return _spanning((weighted >= threshold - 1e-6) | (jaccard >= threshold - 1e-6))
+
+
+def _block_comparer(table, threshold: float):
+    def links(group: pa.Table) -> pa.Table:
+        group = group.combine_chunks()
+        node = group["node"].to_numpy()
+        first = block_links(group["text"].combine_chunks() if isinstance(group["text"], pa.ChunkedArray) else group["text"], table.value, threshold)
+        other = first != np.arange(len(first))
+        return pa.table({"a": pa.array(node[first[other]]), "b": pa.array(node[other]), "similarity": pa.array(np.full(int(other.sum()), threshold))})
+
+    return links
+
+
 class NearCopies:
     """One run over docs (doc_id, text); links holds the verified pairs of nodes so far."""
 
@@ -194,21 +265,36 @@ class NearCopies:
         return written(placed.join(several, "band").join(self.nodes.select("node", "samples"), "node"))
 
     def settle(self) -> None:
-        agreeing = F.size(F.filter(F.arrays_zip(F.col("samples").alias("x"), F.col("samples_b").alias("y")), lambda z: z["x"] == z["y"])) >= LEAST_AGREEING
-        for turn in range(STAR_ROUNDS + 1):
+        for turn in range(STAR_ROUNDS):
             mixed = self.mixed()
-            if turn < STAR_ROUNDS:
-                drawn = mixed.groupBy("band").agg(F.min(F.struct(F.xxhash64(F.lit(turn), "band", "node").alias("draw"), "node")).alias("d")).select("band", F.col("d.node").alias("b"))
-                drawn = drawn.join(mixed.select("band", F.col("node").alias("b"), F.col("label").alias("label_b"), F.col("samples").alias("samples_b")), ["band", "b"])
-                near = mixed.join(drawn, "band").where("label <> label_b")
-            else:
-                other = mixed.select("band", F.col("node").alias("b"), F.col("label").alias("label_b"), F.col("samples").alias("samples_b"))
-                near = mixed.join(other, (mixed["band"] == other["band"]) & (F.col("node") < F.col("b")) & (F.col("label") != F.col("label_b")) & agreeing)
-            pairs = near.where(agreeing).select(F.least("node", "b").alias("a"), F.greatest("node", "b").alias("b")).distinct()
-            found = self.verified(pairs)
-            if turn < STAR_ROUNDS and not found.limit(1).count():
-                continue
-            self.links = written(self.links.unionByName(found))
+            drawn = written(mixed.groupBy("band").agg(F.min(F.struct(F.xxhash64(F.lit(turn), "band", "node").alias("draw"), "node")).alias("d")).select("band", F.col("d.node").alias("b")))
+            drawn = written(drawn.join(mixed.select("band", F.col("node").alias("b"), F.col("label").alias("label_b"), F.col("samples").alias("samples_b")), ["band", "b"]))
+            self.add(self.verified(self._unlike(mixed.join(drawn, "band"))))
+        mixed = self.mixed()
+        sizes = written(mixed.groupBy("band").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("lead")))
+        few = mixed.join(sizes.where(F.col("n") <= SMALL).select("band"), "band")
+        other = few.select("band", F.col("node").alias("b"), F.col("label").alias("label_b"), F.col("samples").alias("samples_b"))
+        self.add(self.verified(self._unlike(few.join(other, (few["band"] == other["band"]) & (F.col("node") < F.col("b"))))))
+        self.add(self._in_blocks(mixed.select("band", "node").join(sizes.where(F.col("n") > SMALL), "band").select(F.col("node").alias("a"), F.col("lead").alias("b"))))
+
+    @staticmethod
+    def _unlike(pairs: DataFrame) -> DataFrame:
+        """Pairs a < b of different components whose samples do not exclude the threshold."""
+        agreeing = F.size(F.filter(F.arrays_zip(F.col("samples").alias("x"), F.col("samples_b").alias("y")), lambda z: z["x"] == z["y"])) >= LEAST_AGREEING
+        return pairs.where((F.col("label") != F.col("label_b")) & agreeing).select(F.least("node", "b").alias("a"), F.greatest("node", "b").alias("b")).distinct()
+
+    def add(self, found: DataFrame) -> None:
+        self.links = written(self.links.unionByName(found))
+
+    def _in_blocks(self, together: DataFrame) -> DataFrame:
+        """Links among nodes that large buckets put together (a: node, b: leader), found by comparing blocks of them."""
+        clusters = components(together).withColumnRenamed("label", "cluster")
+        texts = written(self.texts.join(clusters, "node").withColumn("bytes", F.octet_length("text")))
+        blocks = F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK_NODES), F.ceil(F.sum("bytes") / BLOCK_BYTES))
+        blocks = written(texts.groupBy("cluster").agg(blocks.cast("int").alias("blocks")))
+        placed = texts.join(blocks, "cluster").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+        placed = placed.select("cluster", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "node", "text")
+        return written(placed.groupBy("cluster", "i", "j").applyInArrow(_block_comparer(self.table, self.threshold), "a long, b long, similarity double"))
 
     def classes(self) -> DataFrame:
         """key, doc_id, node, label for every row of docs; label names the class."""
