@@ -79,7 +79,29 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 _UNSAFE = r"(<\\*\|turn\|>|<\\*\|text\|>|<\\*\|end\|>|<\\*s>|<\\*/s>|\[\\*INST\]|\[\\*/INST\]|<\\*<SYS>>|<\\*</SYS>>|<\\*\|endoftext\|>|<\\*\|im_start\|>|<\\*\|im_end\|>)"
 _ESCAPES = f"len(regexp_extract_all(%s, '{_UNSAFE}'))"
 
+_WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
+_STOP = ", ".join(f"'{w}'" for w in dict.fromkeys(quality_rules.STOP_WORDS))
+_LINES = r"list_filter(string_split(coalesce(text, ''), chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]'))"
+
 ORACLES: dict[str, str] = {
+    "op1_substring_dedup": f"""
+with d as materialized (select doc_id, {_WORDS} as ws from documents),
+w as materialized (select doc_id, len(ws) as n, p, ws[p] as word, case when p + 49 <= len(ws) then md5(array_to_string(ws[p:p + 49], ' ')) end as k from d, unnest(range(1, len(ws) + 1)) r(p)),
+first as (select k, min(doc_id) as low from w where k is not null group by k),
+hit as (select w.*, max(case when low < doc_id then 1 else 0 end) over (partition by doc_id order by p rows between 49 preceding and current row) as gone from w left join first using (k)),
+kept as (select doc_id, sum(gone)::bigint as n_removed, string_agg(word, ' ' order by p) filter (gone = 0) as words from hit group by doc_id)
+select doc_id, len(ws)::bigint as n_words, coalesce(n_removed, 0)::bigint as n_removed, sha256(coalesce(words, '')) as kept_sha256 from d left join kept using (doc_id)""",
+    "op7_quality_rules": f"""
+with d as materialized (select doc_id, coalesce(text, '') as t, {_WORDS} as ws, {_LINES} as lines from documents),
+w as (select doc_id, p, case when p + 4 <= len(ws) then array_to_string(ws[p:p + 4], ' ') end as k from d, unnest(range(1, len(ws) + 1)) r(p)),
+c as (select doc_id, p, case when k is not null and count(*) over (partition by doc_id, k) > 1 then 1 else 0 end as twice from w),
+r as (select doc_id, sum(m)::bigint as n_repeat_words from (select doc_id, max(twice) over (partition by doc_id order by p rows between 4 preceding and current row) as m from c) group by doc_id),
+m as (select doc_id, len(ws)::bigint as n_words, coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0)::bigint as word_chars,
+  (length(t) - length(translate(t, '{quality_rules.SYMBOLS}', '')))::bigint as n_symbols, (len(lines) - len(list_distinct(lines)))::bigint as n_dup_lines, len(lines) as n_lines, coalesce(n_repeat_words, 0)::bigint as n_repeat_words,
+  len(list_filter(ws, lambda x: rtrim(lower(x), '.,;:!?') in ({_STOP}))) as n_stop, length(t) - length(translate(t, 'ABCDEFGHIJKLMNOPQRSTUVWXYZÄÖÜÀÂÇÉÈÊËÎÏÔÛÙÑÁÍÓÚ', '')) as n_upper from d left join r using (doc_id)),
+v as (select *, n_words < 10 or 100 * n_repeat_words > 20 * n_words as base_failed from m)
+select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, not base_failed and word_chars >= 2 * n_words and word_chars <= 14 * n_words and 100 * n_symbols <= 30 * n_words
+  and 100 * n_dup_lines <= 30 * n_lines and 50 * n_stop >= n_words and 100 * n_upper <= 60 * word_chars as kept from v""",
     "op3_chat_formatting": f"""
 with r as (
   select conv_id, turn, coalesce(role, '') as role, coalesce(text, '') as text from conversations
