@@ -46,3 +46,14 @@ def test_reports(spark):
     assert {r["key"] for r in post.containing(huis, "a").collect()} == {"a,d", "a,c,d"}
     assert post.rare_items(huis, workloads.toy_thresholds(spark), 0.5).count() == 10
     assert post.share(huis, workloads.toy(spark).agg(F.sum("u").alias("total"))).agg(F.max("running")).first()[0] == huis.agg(F.sum("utility")).first()[0]
+
+
+def test_latest_thresholds(spark, tmp_path):
+    schema = "item string, mu long, ts timestamp"
+    rows = [("a", 5, "2024-01-02"), ("a", 3, "2024-01-01"), ("b", 9, "2024-01-01"), ("a", 7, "2024-01-03")]
+    for i, part in enumerate((rows[:1], rows[1:])):
+        spark.createDataFrame([(x, m, t) for x, m, t in part], "item string, mu long, ts string").withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.parquet(str(tmp_path / f"part{i}"))
+    stream = spark.readStream.schema(schema).option("recursiveFileLookup", True).parquet(str(tmp_path))
+    query = windows.latest_thresholds(stream).writeStream.outputMode("update").format("memory").queryName("newest").trigger(availableNow=True).start()
+    query.awaitTermination()
+    assert {(r["item"], r["mu"]) for r in spark.table("newest").collect()} >= {("a", 7), ("b", 9)}

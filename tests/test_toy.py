@@ -10,7 +10,7 @@ from utilmine.functions import thresholds as T
 from utilmine.functions import tree
 from utilmine.operators import baselines, stats, verify
 from utilmine.operators.mine import Miner, mine
-from utilmine.plans import lists
+from utilmine.plans import lists, planner
 from utilmine.sources import workloads
 
 HUIS = {"b": 108, "d": 126, "a,d": 90, "b,c": 79, "b,d": 126, "c,d": 83, "d,e": 96, "a,c,d": 76, "b,d,e": 93, "c,d,e": 55, "b,c,d,e": 50}
@@ -66,6 +66,8 @@ def test_options(toy, miner):
     assert keyed(miner.search(variant="look", seed="prefix")[0]) == HUIS
     assert keyed(miner.search(global_at_nodes=True)[0]) == HUIS
     assert keyed(mine(*toy, tu_scope="promising")) == HUIS
+    assert keyed(mine(*toy, engine="auto")) == HUIS
+    assert keyed(miner.search(pair_cap=3)[0]) == HUIS == keyed(miner.search("subtree", pair_cap=3)[0])
     assert keyed(miner.search(max_len=2)[0]) == {k: v for k, v in HUIS.items() if k.count(",") < 2}
     assert keyed(miner.search(roots=miner.roots(["c", "b"]))[0]) == {"b": 108, "b,c": 79}
     assert keyed(miner.search("lists", roots=miner.roots(["c", "b"]))[0]) == {"b": 108, "b,c": 79}
@@ -100,6 +102,18 @@ def test_counts(toy):
     assert stats.timed(lambda: lines)["done"]
 
 
+def test_planner(miner):
+    told = {r["what"]: r["value"] for r in planner.explain(miner.enc, miner.dictionary).collect()}
+    assert (told["items"], told["baskets"], told["max_length"], told["engine"], told["carry"]) == ("5", "10", "4", "subtree", "suffix")
+    assert planner.plan(miner.enc, miner.dictionary, root_budget=1).engine == "frontier"
+    whole = {r["root"]: r["weight"] for r in planner.root_weights(miner.enc).collect()}
+    assert whole[1] == 25 and set(planner.root_weights(miner.enc, 0.9).toPandas()["root"]) <= set(whole)
+
+
+def test_ratio(toy):
+    assert T.glmu_of(toy[0], 0.1) == 32
+
+
 def test_tree(spark):
     assert tree.size(5) == 31 == tree.all_nodes(spark, 5).count()
     assert tree.children([1, 2], 5) == [[1, 2, 3], [1, 2, 4], [1, 2, 5]]

@@ -40,3 +40,8 @@ def lmu(thresholds: DataFrame) -> DataFrame:
 def miu(itemsets: DataFrame, thresholds: DataFrame) -> DataFrame:
     """key, items -> key, miu: the least threshold among the items of each set."""
     return itemsets.select("key", F.explode("items").alias("item")).join(thresholds, "item").groupBy("key").agg(F.min("mu").alias("miu"))
+
+
+def glmu_of(lines: DataFrame, ratio: float) -> int:
+    """A floor for thresholds as a share of the whole utility, so that it grows with the data. One number comes to the driver."""
+    return int(ratio * (lines.agg(F.sum("u")).first()[0] or 0))

@@ -7,12 +7,12 @@ from pyspark.sql import functions as F
 
 from utilmine.operators import subtree
 from utilmine.operators.search import VARIANTS, Frontier, ListJoin, Options, SearchStats
-from utilmine.plans import encode, lists
+from utilmine.plans import encode, lists, planner
 from utilmine.plans.cut import cached
 
-ENGINES = ("frontier", "lists", "subtree", "hybrid")
-#: Entries of projected baskets that one worker walks at once.
-ROOT_BUDGET = 4_000_000
+#: auto asks the planner for the engine and for how rows carry tails.
+ENGINES = ("frontier", "lists", "subtree", "hybrid", "auto")
+ROOT_BUDGET = planner.ROOT_BUDGET
 NAMES_IN_A_ROW = 500_000
 
 
@@ -42,6 +42,9 @@ class Miner:
         o = Options(**options)
         if o.variant not in VARIANTS or engine not in ENGINES:
             raise ValueError(f"variant is one of {VARIANTS}, engine one of {ENGINES}")
+        if engine == "auto":
+            chosen = planner.plan(self.enc, self.dictionary, root_budget=root_budget)
+            engine, o.carry = chosen.engine, chosen.carry
         if engine in ("frontier", "lists"):
             run = (Frontier if engine == "frontier" else ListJoin)(self.enc, self.dictionary, o)
             return decoded(run.run(want_stats), self.dictionary), run.stats
@@ -49,7 +52,7 @@ class Miner:
 
     def _walked(self, o: Options, engine: str, root_budget: int) -> DataFrame:
         """Subtrees in workers. hybrid leaves roots above the budget to the frontier; subtree walks them all."""
-        weights = cached(subtree.weights(self.enc))
+        weights = cached(planner.root_weights(self.enc))
         limit = root_budget if engine == "hybrid" else None
         total, heavy = weights.agg(F.coalesce(F.sum("weight"), F.lit(0)), F.count(F.when(F.col("weight") > limit, 1)) if limit else F.lit(0)).first()
         slots = self.enc.sparkSession.sparkContext.defaultParallelism
@@ -57,7 +60,7 @@ class Miner:
         light = weights if not heavy else weights.where(F.col("weight") <= limit)
         chosen = light.select(F.col("root").alias("rank"))
         chosen = chosen.join(o.roots, "rank", "left_semi") if o.roots is not None else chosen if heavy else None
-        pairs = lists.pair_table(self.enc, self.dictionary.lmu or 0) if o.pair else None
+        pairs = lists.pair_table(self.enc, self.dictionary.lmu or 0) if o.pair and not o.pair_cap else None
         rows = subtree.projected(self.enc, self.dictionary, chosen)
         found = subtree.mine_subtrees(rows, o, F.pmod(F.hash("root"), F.lit(groups)), pairs, self.dictionary.n + 1)
         if not heavy:
@@ -66,7 +69,7 @@ class Miner:
         large = large.join(o.roots, "rank", "left_semi") if o.roots is not None else large
         return found.unionByName(self.in_waves(o, weights, large))
 
-    def in_waves(self, o: Options, weights: DataFrame, roots: DataFrame, wave_budget: int = 1 << 40) -> DataFrame:
+    def in_waves(self, o: Options, weights: DataFrame, roots: DataFrame, wave_budget: int = planner.WAVE_BUDGET) -> DataFrame:
         """The frontier over roots in waves of bounded weight, small ones first; subtrees of different roots are independent."""
         sized = roots.join(weights, F.col("rank") == F.col("root"))
         before = F.sum("weight").over(Window.orderBy("weight", "rank").rowsBetween(Window.unboundedPreceding, -1))

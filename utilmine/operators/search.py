@@ -29,7 +29,8 @@ class Options:
     """variant: which prunings; max_len: the longest itemsets; roots: first ranks to search, all if none; seed: where the lookahead residue starts,
     "extended" (the extended itemset) or "prefix" (its prefix, looser); measure: "utility", or "support" for frequent itemsets;
     global_at_nodes: drop nodes whose transaction-weighted utility is below the least threshold; carry: "suffix" keeps tails in candidate rows,
-    "rejoin" fetches them by basket, for long baskets. Rows and nodes of each level are tables in the shared folder, which cuts the plan and survives lost executors."""
+    "rejoin" fetches them by basket, for long baskets; pair_cap: baskets longer than this bound pairs by their items' weights instead of being
+    exploded into pairs (looser, still exact). Rows and nodes of each level are tables in the shared folder, which cuts the plan and survives lost executors."""
 
     variant: str = "both"
     max_len: int | None = None
@@ -38,6 +39,7 @@ class Options:
     measure: str = "utility"
     global_at_nodes: bool = False
     carry: str = "suffix"
+    pair_cap: int | None = None
 
     @property
     def pair(self) -> bool:
@@ -62,7 +64,11 @@ class Frontier:
     def __init__(self, enc: DataFrame, dictionary: Dictionary, options: Options):
         self.enc, self.dictionary, self.options = enc, dictionary, options
         self.stats = SearchStats()
-        self.pairs = cached(lists.pair_table(enc, dictionary.lmu or 0)) if options.pair else None
+        self.pairs = self.long = None
+        if options.pair and options.pair_cap:
+            self.pairs, self.long = map(cached, lists.pair_bounds(enc, options.pair_cap))
+        elif options.pair:
+            self.pairs = cached(lists.pair_table(enc, dictionary.lmu or 0))
         self.n_pairs = self.pairs.count() if options.pair else 0
 
     # candidate rows: node, mu1, iu, ru, bound, tu, tid, tail
@@ -117,7 +123,7 @@ class Frontier:
         last = F.element_at("node", -1)
         none = F.lit(None).cast("array<int>")
         if level == 1:
-            if o.pair:
+            if o.pair and not o.pair_cap:
                 mates = nodes.where("expand").select(last.alias("a"), "mu1").join(self.pairs, "a").where("twu >= mu1").groupBy("a").agg(F.collect_list("b").alias("allowed"))
                 nodes = nodes.withColumn("a", last).join(mates, "a", "left").withColumn("allowed", F.coalesce("allowed", F.array().cast("array<int>"))).drop("a")
                 return nodes.withColumn("joins", F.when(F.col("expand"), F.size("allowed")).otherwise(0).cast("long"))
@@ -133,7 +139,14 @@ class Frontier:
 
     def _pair_cut(self, nodes: DataFrame) -> DataFrame:
         asked = nodes.where("expand").select("node", "mu1", F.element_at("node", -1).alias("a"), F.explode("allowed").alias("b"))
-        kept = asked.join(broadcast_if(self.pairs, self.n_pairs), ["a", "b"]).where("twu >= mu1").groupBy("node").agg(F.collect_list("b").alias("kept"))
+        pairs = broadcast_if(self.pairs, self.n_pairs)
+        if self.long is None:
+            met = asked.join(pairs, ["a", "b"]).where("twu >= mu1")
+        else:
+            one, two = (broadcast_if(self.long.select(F.col("r").alias(c), F.col("twu").alias(f"long_{c}")), self.dictionary.n) for c in "ab")
+            bound = F.coalesce("twu", F.lit(0)) + F.least(F.coalesce("long_a", F.lit(0)), F.coalesce("long_b", F.lit(0)))
+            met = asked.join(pairs, ["a", "b"], "left").join(one, "a", "left").join(two, "b", "left").where(bound >= F.col("mu1"))
+        kept = met.groupBy("node").agg(F.collect_list("b").alias("kept"))
         return nodes.join(kept, "node", "left").withColumn("allowed", F.coalesce("kept", F.array().cast("array<int>"))).drop("kept")
 
     def run(self, want_stats: bool = False) -> DataFrame:

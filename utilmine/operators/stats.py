@@ -106,7 +106,7 @@ def joins(lines: DataFrame, thresholds: DataFrame) -> DataFrame:
 def ratios(counts: dict[str, int]) -> dict[str, float]:
     """hui / hui_star, hui / htwui, and each visited count over that of the base miner."""
     out = {f"hui/{k}": counts["hui"] / counts[k] for k in ("hui_star", "htwui") if counts.get(k)}
-    return out | {f"{k}/n2": counts[k] / counts["n2"] for k in ("n3", "n4", "n5") if counts.get("n2")}
+    return out | {f"{k}/n2": counts[k] / counts["n2"] for k in ("n3", "n4", "n5") if k in counts and counts.get("n2")}
 
 
 def runtimes(lines: DataFrame, grid: Iterable[tuple[int, int]], engines: Iterable[str] = ("frontier", "hybrid"), cap_s: float = 10_000, with_levelwise: bool = True) -> DataFrame:

@@ -145,12 +145,6 @@ def projected(enc: DataFrame, dictionary: Dictionary, roots: DataFrame | None =
     return rows.join(F.broadcast(roots.select(F.col("rank").alias("root"))), "root", "left_semi") if roots is not None else rows
 
 
-def weights(enc: DataFrame) -> DataFrame:
-    """root, weight: entries of all projected baskets of a root."""
-    rows = enc.select(F.posexplode("its").alias("p", "x"), F.size("its").alias("w"))
-    return rows.groupBy(F.col("x.r").alias("root")).agg(F.sum(F.col("w") - F.col("p")).alias("weight"))
-
-
 def mine_subtrees(rows: DataFrame, options: Options, group: Column, pairs: DataFrame | None, width: int, most_pairs: int = 4_000_000) -> DataFrame:
     """Walks the projected rows, dealt by group (a function of root). The pair table goes along if it is small; without it results are the same."""
     table = None

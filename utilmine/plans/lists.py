@@ -30,3 +30,12 @@ def pair_table(enc: DataFrame, min_twu: int = 0) -> DataFrame:
     each = enc.select("tu", F.posexplode("its").alias("p", "x"), "its")
     pairs = each.select("tu", F.col("x.r").alias("a"), F.explode(F.slice("its", F.col("p") + 2, F.size("its"))).alias("y"))
     return pairs.groupBy("a", F.col("y.r").alias("b")).agg(F.sum("tu").alias("twu")).where(F.col("twu") >= min_twu)
+
+
+def pair_bounds(enc: DataFrame, cap: int) -> tuple[DataFrame, DataFrame]:
+    """For long baskets, whose pairs would be quadratic: the pair table of baskets of up to cap items, and long_twu(r, twu) of items in longer ones.
+
+    The weight of a pair is at most its weight in the table, 0 if absent, plus the lesser of its items' long weights.
+    """
+    long = enc.where(F.size("its") > cap).select("tu", F.explode("its").alias("x"))
+    return pair_table(enc.where(F.size("its") <= cap)), long.groupBy(F.col("x.r").alias("r")).agg(F.sum("tu").alias("twu"))
