@@ -27,9 +27,9 @@ from utilmine.llm import tokens
 from utilmine.llm.shared import broadcast_if_small, written
 from utilmine.llm.tokens import ALNUM_WORD, Block
 
-WORD_BITS = 18
+WORD_BITS = 22
 #: The bound on labelled rows that a fit reads, the words that may mark bad documents, and Newton steps.
-SAMPLE, LEXICON, STEPS = 6_000, 400, 30
+SAMPLE, LEXICON, STEPS = 4_000, 400, 30
 STRONGEST, WEAKEST = 1e6, 1.0
 
 _SYMBOL = np.zeros(256, bool)
@@ -49,62 +49,99 @@ def _share(block: Block, table: np.ndarray) -> np.ndarray:
 
 
 def evidence(block: Block, marked: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """A matrix of measures for the texts of a block, and the distinct (text, word bucket) pairs behind the last ones."""
+    """A matrix of measures for the texts of a block (marked: sorted hashes of words), and for each word its text and hash."""
     block.words(ALNUM_WORD)
     hashes = block.hashes(fold=True)
     owner = np.repeat(np.arange(len(block)), block.counts)
-    pairs = np.unique((owner.astype(np.uint64) << np.uint64(WORD_BITS)) | (hashes >> np.uint64(64 - WORD_BITS)))
-    text, word = (pairs >> np.uint64(WORD_BITS)).astype(np.int64), (pairs & np.uint64((1 << WORD_BITS) - 1)).astype(np.int64)
     size = np.maximum(np.diff(block.bounds) - _share(block, _SPACE), 1)
     n = np.maximum(block.counts, 1)
     lengths = np.bincount(owner, block.ends - block.starts, len(block)) / n
-    distinct = np.bincount(text, minlength=len(block)) / n
-    hits = np.bincount(text, marked[word], len(block))
-    cols = [10 * _share(block, _SYMBOL) / size, 4 * _share(block, _UPPER) / size, 10 * _share(block, _SHOUT) / size, 10 * _share(block, _BAR) / size, np.exp(-block.counts / 8), lengths / 5, lengths > 12, np.maximum(0, 0.5 - distinct), np.log1p(np.minimum(hits, 20))]
-    return np.stack([np.asarray(c, float) for c in cols], 1), text, word
+    echo = np.flatnonzero((hashes[1:] == hashes[:-1]) & (owner[1:] == owner[:-1]))
+    echoes = np.bincount(owner[echo], minlength=len(block)) / n
+    hits = np.zeros(len(block))
+    if len(marked):
+        at = np.minimum(np.searchsorted(marked, hashes), len(marked) - 1)
+        found = np.flatnonzero(marked[at] == hashes)
+        hits = np.bincount(np.unique(owner[found] * len(marked) + at[found]) // len(marked), minlength=len(block))
+    cols = [10 * _share(block, _SYMBOL) / size, 4 * _share(block, _UPPER) / size, 10 * _share(block, _SHOUT) / size, 10 * _share(block, _BAR) / size, np.exp(-block.counts / 8), lengths / 5, lengths > 12, 4 * echoes, np.log1p(np.minimum(hits, 20))]
+    return np.stack([np.asarray(c, float) for c in cols], 1), owner, hashes
+
+
+def _distinct(owner: np.ndarray, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct pairs of a text and a bucket of its words."""
+    shift = np.uint64(WORD_BITS)
+    pairs = np.unique((owner.astype(np.uint64) << shift) | (hashes >> np.uint64(64 - WORD_BITS)))
+    return (pairs >> shift).astype(np.int64), (pairs & np.uint64((1 << WORD_BITS) - 1)).astype(np.int64)
 
 
 class Model:
-    """Weights over standardised measures and the marked word buckets; small and fixed in size."""
+    """Weights of the measures and the sorted hashes of marked words; small and fixed in size."""
 
-    def __init__(self, marked: np.ndarray, weights: np.ndarray, rate: float):
-        self.marked, self.weights, self.rate = marked, weights, rate
+    def __init__(self, marked: np.ndarray, weights: np.ndarray):
+        self.marked, self.weights = marked, weights
 
     def bad(self, block: Block) -> np.ndarray:
         x, _, _ = evidence(block, self.marked)
-        return 1 / (1 + np.exp(-np.clip(x @ self.weights[1:] + self.weights[0], -30, 30)))
+        found = 1 / (1 + np.exp(-np.clip(x @ self.weights[1:] + self.weights[0], -30, 30)))
+        return np.where((block.counts == 0) & self.weights.any(), 1.0, found)  # nothing to read
+
 
+def marked_words(texts: pa.ChunkedArray, y: np.ndarray, least_support: int) -> np.ndarray:
+    """Hashes of words whose share among bad documents is far above that among good ones.
+
+    A word counts from 1% of the bad documents on, so that a few near copies do not make their words telling. A first pass counts documents by bucket of the word hash, a second one the exact words of the best buckets.
+    """
 
-def fit(texts: list[str | None], bad: list[int], least_support: int = 4) -> Model:
-    """Marked words first: buckets whose share among bad documents is far above that among good ones; then Newton steps with a ridge."""
-    y, none = np.asarray(bad, float), np.zeros(1 << WORD_BITS)
+    def strong(in_bad: np.ndarray, in_good: np.ndarray) -> np.ndarray:
+        odds = np.log((in_bad + 0.5) / (y.sum() + 1)) - np.log((in_good + 0.5) / (len(y) - y.sum() + 1))
+        excess = odds * np.sqrt(in_bad)
+        return np.where((in_bad >= max(least_support, 0.01 * y.sum())) & (odds > 3) & (excess > 8), excess, 0)
+
+    none = np.zeros(0, np.uint64)
+    counts = np.zeros((2, 1 << WORD_BITS), np.int32)
+    for block in tokens.blocks(texts):
+        _, owner, hashes = evidence(block, none)
+        text, word = _distinct(owner, hashes)
+        np.add.at(counts, (y[block.first + text].astype(int), word), 1)
+    gain = strong(counts[1], counts[0])
+    best = np.zeros(1 << WORD_BITS, bool)
+    best[np.argsort(-gain)[:LEXICON]] = True
+    best &= gain > 0
+    pairs = []
+    for block in tokens.blocks(texts):
+        _, owner, hashes = evidence(block, none)
+        at = np.flatnonzero(best[(hashes >> np.uint64(64 - WORD_BITS)).astype(np.int64)])
+        pairs.append(np.unique(np.stack([hashes[at], (block.first + owner[at]).astype(np.uint64)]), axis=1))
+    hashes, text = np.concatenate(pairs, 1)
+    words, at = np.unique(hashes, return_inverse=True)
+    bad = y[text.astype(np.int64)]
+    return words[strong(np.bincount(at, bad, len(words)), np.bincount(at, 1 - bad, len(words))) > 0]
+
+
+def fit(texts: pa.ChunkedArray, bad: np.ndarray, least_support: int = 4) -> Model:
+    """Marked words first, then Newton steps with a ridge."""
+    y = np.asarray(bad, float)
     if not len(y) or y.min() == y.max():
-        return Model(none, np.zeros(len(FEATURES) + 1), 0.5)
-    column = pa.array(texts, pa.string())
-    seen = [(b.first + t, w) for b in tokens.blocks(column) for _, t, w in [evidence(b, none)]]
-    text, word = (np.concatenate(x) for x in zip(*seen, strict=True))
-    in_bad, in_good = np.bincount(word, y[text], len(none)), np.bincount(word, 1 - y[text], len(none))
-    odds = np.log((in_bad + 0.5) / (y.sum() + 1)) - np.log((in_good + 0.5) / (len(y) - y.sum() + 1))
-    excess = odds * np.sqrt(in_bad)
-    best = [w for w in np.argsort(-excess)[:LEXICON] if in_bad[w] >= least_support and odds[w] > 3 and excess[w] > 8]
-    marked = none.copy()
-    marked[best] = 1
-    x = np.concatenate([evidence(b, marked)[0] for b in tokens.blocks(column)])
+        return Model(np.zeros(0, np.uint64), np.zeros(len(FEATURES) + 1))
+    marked = marked_words(texts, y, least_support)
+    x = np.concatenate([evidence(b, marked)[0] for b in tokens.blocks(texts)])
     x = np.hstack([np.ones((len(x), 1)), x])
     weights, ridge = np.zeros(x.shape[1]), np.diag([1e-6] + [0.05] * (x.shape[1] - 1))
     for _ in range(STEPS):
         p = 1 / (1 + np.exp(-np.clip(x @ weights, -30, 30)))
         step = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + ridge, x.T @ (y - p) - ridge @ weights)
         weights += np.clip(step, -2, 2)
-    return Model(marked, weights, float(y.mean()))
+    return Model(marked, weights)
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> list:
+def labelled_sample(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> pa.Table:
     """At most `most` labelled texts, the least by a hash of doc_id; the join sees only documents whose id the sample names."""
     marks = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.max(((F.col("quality") == 0) | (F.coalesce("toxic", F.lit(0)) == 1)).cast("int")).alias("bad"))
     chosen = F.broadcast(marks.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most))
     rows = docs.select("doc_id", "text").join(chosen, "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.first("bad").alias("bad"))
-    return sorted(rows.collect())
+    # copies would make every word of a much copied document look telling
+    first = rows.groupBy(F.coalesce("text", F.lit("")).alias("text")).agg(F.min("doc_id").alias("doc_id"), F.max("bad").alias("bad"))
+    return first.select("doc_id", "text", "bad").toArrow().sort_by("doc_id")
 
 
 def _scorer(model: Model, column: str):
@@ -164,7 +201,8 @@ def classify(docs: DataFrame, labels: DataFrame, host: Column | None = None, pat
     """The columns in keep (default: doc_id) with evidence, site_rate, quality (posterior of being good) and kept, for each row of docs."""
     host, path = host if host is not None else F.col("source"), path if path is not None else F.col("lang")
     rows = labelled_sample(docs, labels, sample)
-    model = fit([r["text"] for r in rows], [r["bad"] for r in rows])
+    model = fit(rows["text"], rows["bad"].to_numpy())
+    del rows
     rates = broadcast_if_small(written(site_rates(scored(docs, model, host, path, []))))
     keep = keep if keep is not None else ["doc_id"]
     joined = scored(docs, model, host, path, keep).join(rates, ["__host", "__path"])
