@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from utilmine.functions import thresholds as T
 from utilmine.operators import baselines
 from utilmine.operators.mine import Miner
+from utilmine.plans.ship import to_workers
 from utilmine.sources import baskets, workloads
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
@@ -44,7 +45,7 @@ def levelwise(spark: SparkSession) -> DataFrame:
 
 
 def main() -> None:
-    spark = session()
+    spark = to_workers(session())
     spark.sparkContext.setLogLevel("ERROR")
     mined(spark, "order_brand", 200_000, 0, "hybrid", {}).count()  # warm-up
     seconds, rows = {}, {}

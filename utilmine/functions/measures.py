@@ -25,7 +25,8 @@ def basket_utility(lines: DataFrame) -> DataFrame:
 
 
 def with_tu(lines: DataFrame) -> DataFrame:
-    return lines.withColumn("tu", F.sum("u").over(Window.partitionBy("tid")))
+    """lines with tu, the utility of their basket; lines that have it already stay as they are."""
+    return lines if "tu" in lines.columns else lines.withColumn("tu", F.sum("u").over(Window.partitionBy("tid")))
 
 
 def twu_items(lines: DataFrame) -> DataFrame:

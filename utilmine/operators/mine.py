@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from utilmine.functions.measures import with_tu
 from utilmine.operators import subtree
 from utilmine.operators.search import VARIANTS, Frontier, ListJoin, Options, SearchStats
 from utilmine.plans import encode, lists, planner
@@ -29,9 +30,15 @@ def decoded(found: DataFrame, dictionary: encode.Dictionary) -> DataFrame:
 
 
 class Miner:
-    """Encoded baskets and dictionary of one input, for one or several searches."""
+    """Encoded baskets and dictionary of one input, for one or several searches.
 
-    def __init__(self, lines: DataFrame, thresholds: DataFrame, order_by: str = "mu", tu_scope: str = "all"):
+    keep_lines caches the lines with their baskets' utilities, dealt by basket, between the two passes over them; without it the
+    input is read and exchanged twice.
+    """
+
+    def __init__(self, lines: DataFrame, thresholds: DataFrame, order_by: str = "mu", tu_scope: str = "all", keep_lines: bool = True):
+        lines = with_tu(lines.select("tid", "item", "u"))
+        lines = cached(lines) if keep_lines else lines
         self.dictionary = encode.Dictionary(lines, thresholds, order_by, tu_scope)
         self.enc = cached(encode.baskets(lines, self.dictionary))
 

@@ -32,8 +32,8 @@ def baskets(lines: DataFrame, dictionary: Dictionary) -> DataFrame:
     One exchange by tid: the utility of the basket, the sums over later items and the array use the same
     partitioning. The dictionary is joined by broadcast unless it is large.
     """
-    whole = measures.with_tu(lines.select("tid", "item", "u"))
-    kept = whole.join(broadcast_if(dictionary.items.select("item", "rank"), dictionary.n), "item")
+    whole = measures.with_tu(lines)
+    kept = whole.select("tid", "item", "u", "tu").join(broadcast_if(dictionary.items.select("item", "rank"), dictionary.n), "item")
     later = Window.partitionBy("tid").orderBy(F.col("rank").desc()).rowsBetween(Window.unboundedPreceding, -1)
     kept = kept.withColumn("ru", F.coalesce(F.sum("u").over(later), F.lit(0).cast("long")))
     tu = F.sum("u") if dictionary.tu_scope == "promising" else F.first("tu")
