@@ -17,18 +17,20 @@ from pyspark.sql import DataFrame, SparkSession
 
 from utilmine.llm import decontamination, mixing, near_dedup, quality_classifier, sharding
 from utilmine.llm.shared import documents, written
+from utilmine.plans.ship import to_workers
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return quality_classifier.without_rejected(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return quality_classifier.without_rejected(docs, to_workers(spark).read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    to_workers(spark)
     return near_dedup.without_near_copies(docs)
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return decontamination.without_contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+    return decontamination.without_contaminated(docs, to_workers(spark).read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,6 +38,7 @@ def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def sharded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    to_workers(spark)
     return sharding.shards(docs, 40)
 
 
