@@ -305,7 +305,7 @@ class NearCopies:
 def near_duplicates(docs: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
     """For each row of docs: doc_id, class_id (the least doc_id of its class) and class_size."""
     rows = written(NearCopies(docs, threshold).classes())
-    named = rows.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size"))
+    named = written(rows.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size")))
     return rows.join(named, "label").select("doc_id", "class_id", "class_size")
 
 

@@ -1,6 +1,6 @@
 """Words and their hashes for blocks of texts, as numpy arrays over the bytes of an Arrow column.
 
-A block is a run of whole texts of about a megabyte (or one longer text), so that memory stays bounded by the longest text. Word
+A block is a run of whole texts of about half a megabyte (or one longer text), so that memory stays bounded by the longest text. Word
 hashes are 64-bit polynomial hashes over random byte codes, and runs of words hash the same way over word hashes, so
 any span of a block hashes in constant time from prefix sums.
 """
@@ -13,7 +13,7 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 
-BLOCK_BYTES = 1 << 20
+BLOCK_BYTES = 1 << 19
 BASE, SEQUENCE_BASE = 0x9E3779B97F4A7C15 | 1, 0xD6E8FEB86659FD93 | 1
 
 #: Byte tables: True where a byte belongs to a word.
@@ -51,7 +51,7 @@ class Powers:
 
     def to(self, n: int) -> tuple[np.ndarray, np.ndarray]:
         if len(self.up) < n:
-            size = max(n, 2 * BLOCK_BYTES)
+            size = 1 << max(16, (n - 1).bit_length())
             for name, base in (("up", self.base), ("down", self.inverse)):
                 steps = np.full(size, base, np.uint64)
                 steps[0] = 1
