@@ -41,7 +41,7 @@ BUCKETS = 1 << 20
 LEAST_AGREEING = 32
 STAR_ROUNDS = 1
 #: Members of a bucket that are compared pair by pair; nodes and bytes of a block of a larger one; columns of a matrix.
-SMALL, BLOCK_NODES, BLOCK_BYTES, COLUMNS = 32, 800, 4 << 20, 1024
+SMALL, BLOCK_NODES, BLOCK_BYTES, COLUMNS = 32, 500, 2 << 20, 1024
 
 _draw = np.random.default_rng(20240229)
 _R = _draw.gamma(2.0, 1.0, 1 << 16).astype(np.float32)
@@ -165,12 +165,14 @@ def _verifier(table):
     return rows
 
 
-def _entries(block: Block, weight_of: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def _entries(texts: pa.Array, weight_of: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Text, column and weight such that products of columns, added up, are the weight that two texts share; and each text's whole weight and number of shingles.
 
     The least of two counts is a sum over levels: a shingle of count c has the columns (shingle, 1) to (shingle, c).
     """
-    owner, shingle, count = weighted_shingles(block)
+    found = [(block.first + o, s, c) for block in tokens.blocks(texts, BLOCK) for o, s, c in [weighted_shingles(block)]]
+    owner, shingle, count = (np.concatenate(x) for x in zip(*found, strict=True))
+    n = len(texts)
     idf = weight_of[bucket_of(shingle)].astype(float)
     at = np.repeat(np.arange(len(owner)), count)
     level = np.arange(len(at)) - np.repeat(np.cumsum(count) - count, count) + 1
@@ -179,7 +181,7 @@ def _entries(block: Block, weight_of: np.ndarray) -> tuple[np.ndarray, np.ndarra
     column[level == 1] = 2 * column[level == 1]
     column[level > 1] = 2 * column[level > 1] + 1  # odd columns are higher levels
     weight = idf[at] * step
-    return owner[at], column, weight, np.bincount(owner, (1 + np.log(count)) * idf, len(block)), np.bincount(owner, minlength=len(block))
+    return owner[at], column, weight, np.bincount(owner, (1 + np.log(count)) * idf, n).astype(np.float32), np.bincount(owner, minlength=n).astype(np.float32)
 
 
 def _spanning(near: np.ndarray) -> np.ndarray:
@@ -196,9 +198,8 @@ def _spanning(near: np.ndarray) -> np.ndarray:
 
 def block_links(texts: pa.Array, weight_of: np.ndarray, threshold: float) -> np.ndarray:
     """For each text the first of those that it is linked to, directly or over others of these texts."""
-    block = next(tokens.blocks(texts, 1 << 62))
-    owner, column, weight, whole, sizes = _entries(block, weight_of)
-    n = len(block)
+    owner, column, weight, whole, sizes = _entries(texts, weight_of)
+    n = len(texts)
     shared = np.bincount(column)[column] > 1
     owner, weight = owner[shared], weight[shared]
     plain = column[shared] % 2 == 0
