@@ -244,10 +244,10 @@ def _(s, d):
     return m.search("frontier", roots=m.roots([3, 7, 13]))[0].select(*PATTERN)
 
 
-def _workload(name: str, workload: str, glmu: int, beta: int, max_len: int | None = None, engine: str = "hybrid") -> None:
-    @query(name, O.huis(workload, glmu, beta, max_len))
+def _workload(name: str, workload: str, glmu: int, beta: int, max_len: int | None = None, engine: str = "hybrid", with_sql: bool = True) -> None:
+    @query(name, O.huis(workload, glmu, beta, max_len) if with_sql else None)
     def _(s, d):
-        lines = workloads.ALL[workload](s, d)
+        lines = (workloads.WITH_SQL if with_sql else workloads.ALL)[workload](s, d)
         return Miner(lines, T.from_profit(baskets.profit_of(lines), beta, glmu)).search(engine, max_len=max_len)[0].select(*PATTERN)
 
 
@@ -257,6 +257,7 @@ _workload("hui_order_record", "order_record", 20_000, 1000)
 _workload("hui_customer_year_supplier_k3", "customer_year_supplier", 20_000, 5000, 3)
 _workload("hui_user_day", "user_day_key", 20_000, 5000)
 _workload("hui_doc_tokens_k2", "doc_tokens", 100, 30, 2)
+_workload("hui_doc_tokens_whole_k2", "doc_tokens", 100, 30, 2, with_sql=False)
 
 
 def _uniform(variant: str) -> None:
@@ -354,8 +355,17 @@ def _(s, d):
 
 @query("dataset_characteristics", " union all ".join(f"(with lines as ({O.lines(w)}), n as (select tid, count(*) as n from lines group by tid) select '{w}' as name, (select count(*) from n) as baskets, (select count(distinct item) from lines) as items, (select avg(n) from n) as mean_length, (select max(n) from n) as max_length)" for w in workloads.ALL))
 def _(s, d):
+    return _characteristics(s, d, workloads.WITH_SQL)
+
+
+@query("dataset_characteristics_whole")
+def _(s, d):
+    return _characteristics(s, d, workloads.ALL)
+
+
+def _characteristics(s: SparkSession, d: str, made_by: dict[str, Query]) -> DataFrame:
     out = None
-    for name, made in workloads.ALL.items():
+    for name, made in made_by.items():
         row = stats.characteristics(made(s, d)).select(F.lit(name).alias("name"), "baskets", "items", "mean_length", "max_length")
         out = row if out is None else out.unionByName(row)
     return out
