@@ -337,6 +337,25 @@ def test_op10_brute_force(spark):
     assert len(set(got.values())) >= 0.9 * len(set(want.values()))
 
 
+def test_op10_repeated_passages(spark):
+    """A passage and the same pasted many times: near by plain similarity, far by weighted."""
+    rng, docs = random.Random(11), []
+    for i in range(60):
+        base = " ".join(made_words(rng, 60))
+        docs += [(2 * i, base), (2 * i + 1, " ".join([base] * (20 if i % 2 else 2)))]
+    want = near_classes(docs)
+    assert len(set(want.values())) == 60
+    got = {r["doc_id"]: r["class_id"] for r in near_dedup.near_duplicates(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == want
+
+
+def test_op10_unlike_asks_both_measures(spark):
+    n = near_dedup.ROWS * near_dedup.BANDS
+    rows = [(1, 2, 1, 2, [0] * n + list(range(n)), [1] * n + list(range(n))), (3, 4, 3, 4, list(range(n)) + [0] * n, list(range(n)) + [1] * n), (5, 6, 5, 6, [0] * 2 * n, [1] * 2 * n), (7, 8, 7, 7, [0] * 2 * n, [0] * 2 * n)]
+    pairs = spark.createDataFrame(rows, "node long, b long, label long, label_b long, samples array<int>, samples_b array<int>")
+    assert sorted(map(tuple, near_dedup.NearCopies._unlike(pairs).collect())) == [(1, 2), (3, 4)]
+
+
 def test_op10_edges(odd):
     rows = near_dedup.near_duplicates(odd).collect()
     by = Counter((r["doc_id"], r["class_id"], r["class_size"]) for r in rows)

@@ -4,11 +4,13 @@
    size of the input: a rare shingle shares a bucket with others and looks as rare as all of them, a frequent one stands out.
    A shingle weighs (1 + ln tf) * (1/2 + idf/2), idf = log(1 + N/df) / log(1 + N); plain tf would make texts near
    that share nothing but one phrase repeated a hundred times.
-2. Each text gets 56 consistent weighted samples; four of them make a band key. Texts of equal words are one node.
+2. Each text gets 56 consistent weighted samples and 56 unweighted ones (least hashes of its shingles), as either similarity makes a
+   link: where counts differ, texts near by the plain one can be far by the weighted one. Four samples of a kind make a band key.
+   Texts of equal words are one node.
 3. In each bucket (equal band keys) every node is compared with the bucket's least node; verified pairs become links, links components.
    In buckets that still hold several components, members are compared with a drawn member of another component.
    So groups of copies cost a few comparisons for each member, not one for each pair. No link is given up: what still
-   differs then is compared pair by pair in buckets of up to 32 (if the samples do not exclude 0.8); larger buckets that overlap
+   differs then is compared pair by pair in buckets of up to 32 (unless the samples exclude 0.8 for both similarities); larger buckets that overlap
    are put together, their members dealt into blocks of bounded size, and each pair of blocks is compared as matrices
    in one task, which returns a spanning set of links and no pairs.
 4. A pair counts as near if the weighted or the plain Jaccard similarity of its shingles is 0.8 or more.
@@ -37,7 +39,7 @@ ROWS, BANDS = 4, 14
 FREQUENCY_BITS, HASH_BITS = 18, 46
 BLOCK = 1 << 18
 BUCKETS = 1 << 20
-#: A pair at similarity 0.8 agrees in fewer of its 56 samples than this with a chance below 1e-5.
+#: A pair at similarity 0.8 agrees in fewer of its 56 samples of that kind than this with a chance below 1e-5.
 LEAST_AGREEING = 32
 STAR_ROUNDS = 1
 #: Members of a bucket that are compared pair by pair; nodes and bytes of a block of a larger one; columns of a matrix.
@@ -48,6 +50,8 @@ _R = _draw.gamma(2.0, 1.0, 1 << 16).astype(np.float32)
 _LOG_C = np.log(_draw.gamma(2.0, 1.0, 1 << 16)).astype(np.float32)
 _FACTORS = mix(np.arange(1, ROWS * BANDS + 1, dtype=np.uint64)) | np.uint64(1)
 _SEEDS = mix(np.arange(1001, ROWS * BANDS + 1001, dtype=np.uint64))
+_PLAIN_FACTORS = mix(np.arange(2001, ROWS * BANDS + 2001, dtype=np.uint64)) | np.uint64(1)
+_PLAIN_SEEDS = mix(np.arange(3001, ROWS * BANDS + 3001, dtype=np.uint64))
 
 
 def weighted_shingles(block: Block) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -114,6 +118,24 @@ def samples(owner: np.ndarray, shingles: np.ndarray, weights: np.ndarray) -> np.
     return out
 
 
+def plain_samples(owner: np.ndarray, shingles: np.ndarray) -> np.ndarray:
+    """As samples, without weights: the shingle of the least hash, named by 32 other bits of it."""
+    heads = np.flatnonzero(np.append(True, owner[1:] != owner[:-1]))
+    spread = mix(shingles + np.uint64(1))
+    out = np.empty((len(heads), ROWS * BANDS), np.uint32)
+    for i in range(ROWS * BANDS):
+        out[:, i] = np.minimum.reduceat((spread ^ _PLAIN_SEEDS[i]) * _PLAIN_FACTORS[i], heads) & np.uint64(0xFFFFFFFF)
+    return out
+
+
+def band_keys(found: np.ndarray) -> np.ndarray:
+    """A key for each four samples of each row."""
+    bands = np.zeros((len(found), found.shape[1] // ROWS), np.uint64)
+    for r in range(ROWS):
+        bands = mix(bands * np.uint64(0x2545F4914F6CDD1D) + found[:, r::ROWS].astype(np.uint64) + np.uint64(r))
+    return bands + np.arange(bands.shape[1], dtype=np.uint64)
+
+
 def _sketcher(table):
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weight_of = table.value
@@ -127,11 +149,8 @@ def _sketcher(table):
                 node, check = (span_hashes(x, block.at[:-1], block.at[1:], WORD_POWERS) + mix(block.counts.astype(np.uint64)) for x in (one, two))
                 keys, drawn = [None] * len(block), [None] * len(block)
                 if len(owner):
-                    found = samples(owner, shingle, (1 + np.log(count)) * weight_of[bucket_of(shingle)])
-                    bands = np.zeros((len(found), BANDS), np.uint64)
-                    for r in range(ROWS):
-                        bands = mix(bands * np.uint64(0x2545F4914F6CDD1D) + found[:, r::ROWS].astype(np.uint64) + np.uint64(r))
-                    bands += np.arange(BANDS, dtype=np.uint64)
+                    found = np.hstack([samples(owner, shingle, (1 + np.log(count)) * weight_of[bucket_of(shingle)]), plain_samples(owner, shingle)])
+                    bands = band_keys(found)
                     for k, i in enumerate(np.unique(owner)):
                         keys[i], drawn[i] = bands[k].view(np.int64), found[k].view(np.int32)
                 n = len(block)
@@ -280,9 +299,13 @@ class NearCopies:
 
     @staticmethod
     def _unlike(pairs: DataFrame) -> DataFrame:
-        """Pairs a < b of different components whose samples do not exclude the threshold."""
-        agreeing = F.size(F.filter(F.arrays_zip(F.col("samples").alias("x"), F.col("samples_b").alias("y")), lambda z: z["x"] == z["y"])) >= LEAST_AGREEING
-        return pairs.where((F.col("label") != F.col("label_b")) & agreeing).select(F.least("node", "b").alias("a"), F.greatest("node", "b").alias("b")).distinct()
+        """Pairs a < b of different components, without those whose samples exclude the threshold for both similarities."""
+
+        def agreeing(first: int):
+            one, two = (F.slice(c, first, ROWS * BANDS).alias(n) for c, n in (("samples", "x"), ("samples_b", "y")))
+            return F.size(F.filter(F.arrays_zip(one, two), lambda z: z["x"] == z["y"])) >= LEAST_AGREEING
+
+        return pairs.where((F.col("label") != F.col("label_b")) & (agreeing(1) | agreeing(1 + ROWS * BANDS))).select(F.least("node", "b").alias("a"), F.greatest("node", "b").alias("b")).distinct()
 
     def add(self, found: DataFrame) -> None:
         self.links = written(self.links.unionByName(found))
