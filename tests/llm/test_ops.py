@@ -217,6 +217,33 @@ def test_op6_brute_force(spark):
         decontamination.benchmark_index(spark.createDataFrame(items, "item_id long, text string"), 10)
 
 
+def test_op6_shorter_documents(spark):
+    """Items cut at either end: a document shorter than the item is compared whole."""
+    rng = random.Random(6)
+    items = [(i, " ".join(made_words(rng, n))) for i, n in enumerate((50, 16, 59, 6, 5))]
+    docs = [(50, " ".join(items[0][1].split()[:46]))]
+    for i, t in items:
+        w = t.split()
+        for cut in (1, 2, 4, 9, 20):
+            docs += [(100 * i + 2 * cut, " ".join(w[cut:])), (100 * i + 2 * cut + 1, " ".join(w[: max(0, len(w) - cut)]))]
+    docs += [(1000, items[0][1]), (1001, items[0][1] + " more words")]
+    want = {}
+    for d, t in docs:
+        w = t.split()
+        for i, it in items:
+            x = it.split()
+            n = min(len(x), len(w))
+            for p in range(len(w) - n + 1):
+                a, b = (Counter(tuple(v[j : j + 5]) for j in range(len(v) - 4)) for v in (w[p : p + n], x))
+                s = sum((a & b).values()) / max(1, sum((a | b).values()))
+                if s >= 0.8:
+                    want[d, i] = max(want.get((d, i), (0, 0)), (s, n))
+    docs_, items_ = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]): (r["similarity"], r["n_words"]) for r in decontamination.contaminated(docs_, items_).collect()}
+    assert got == want and got[50, 0] == (pytest.approx(42 / 46), 46)
+    assert {r["doc_id"] for r in decontamination.without_contaminated(docs_, items_).collect()} == {d for d, _ in docs} - {d for d, _ in want}
+
+
 def test_op6_index_finds_all_within_radius():
     rng = np.random.default_rng(0)
     index = decontamination.Index([(i, " ".join(f"w{rng.integers(1000)}" for _ in range(20))) for i in range(30)])

@@ -1,6 +1,6 @@
 """Benchmark decontamination: SimHash over item-sized windows, a multi-index of Hamming blocks, exact verification.
 
-A benchmark item of n words is looked for in windows of n words of every document. A window and an item that share no
+A benchmark item of n words is looked for in windows of n words of every document; a shorter document is one window. A window and an item that share no
 five-word shingle have similarity 0, so only windows over a shingle of some item (found by hash in the scan) are fingerprinted; this
 drops nothing that the verification could accept. The 64-bit fingerprints of items are kept in one table for each block of
 bits, holding for each block value the items within radius // blocks of it: two fingerprints within the radius must agree that
@@ -120,7 +120,7 @@ class Index:
         known, known_sizes, _ = self.by_width[width]
         left, right = np.searchsorted(known, shingles[found]), np.searchsorted(known, shingles[found], "right")
         for size in np.unique(np.concatenate([known_sizes[a:b] for a, b in zip(left, right, strict=True)])):
-            span = size - width + 1
+            span = min(size - width + 1, len(shingles))
             own = found[[size in known_sizes[a:b] for a, b in zip(left, right, strict=True)]]
             starts = np.unique((own[:, None] - np.arange(span)[None, :]).ravel())
             starts = starts[(starts >= 0) & (starts + span <= len(shingles))]
@@ -160,7 +160,7 @@ def _searcher(index: Index, threshold: float):
                     for text in np.unique(owner[hits]):
                         a, b = np.searchsorted(owner, [text, text + 1])
                         own = hits[np.searchsorted(hits, a) : np.searchsorted(hits, b)] - a
-                        out += [(block.first + int(text), index.items[i].id, start, index.items[i].n, value) for i, start, value in index.search(shingles[a:b], width, own, threshold)]
+                        out += [(block.first + int(text), index.items[i].id, start, min(index.items[i].n, int(b - a) + width - 1), value) for i, start, value in index.search(shingles[a:b], width, own, threshold)]
             at, item, start, n, value = zip(*out, strict=True) if out else ((),) * 5
             yield pa.record_batch({"doc_id": doc.take(pa.array(at, pa.int64())), "item_id": pa.array(item, pa.int64()), "start_word": pa.array(start, pa.int64()), "n_words": pa.array(n, pa.int64()), "similarity": pa.array(value, pa.float64())})
 
