@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+import datetime
 import itertools
+import os
 import random
 import re
-from collections import Counter
+from collections import Counter, defaultdict
 
 import pytest
 
@@ -54,3 +56,49 @@ def test_characteristics_of_whole_texts(spark, sf):
     found = counted((r["doc_id"], r["text"]) for r in spark.read.parquet(f"{sf}/documents.parquet").collect())
     assert (own["baskets"], own["items"], own["max_length"]) == (len(found), len({t for c in found for t in c}), max(map(len, found)))
     assert own["mean_length"] == pytest.approx(sum(map(len, found)) / len(found))
+
+
+def test_doc_tokens_to_full_depth(spark, texts):
+    folder, docs = texts
+    want = brute(counted(docs), 100, 30)
+    assert mined(catalog.QUERIES["hui_doc_tokens"](spark, folder)) == want and max(k.count(",") for k, _, _ in want) == 8
+
+
+def enumerated(baskets, least):
+    """(group, key, utility, support) of every itemset of the baskets (group, {item: utility}) at or above least(items)."""
+    utility, support = Counter(), Counter()
+    for group, b in baskets:
+        for k in range(1, len(b) + 1):
+            for items in itertools.combinations(sorted(b), k):
+                utility[group, items] += sum(b[i] for i in items)
+                support[group, items] += 1
+    return {(g, ",".join(map(str, i)), u, support[g, i]) for (g, i), u in utility.items() if u >= least(i)}
+
+
+@pytest.mark.parametrize("workload", ["part", "supplier"])
+def test_customer_years_to_full_depth(spark, tmp_path, workload):
+    rng, size = random.Random(8), {i: 10 + 5 * i for i in range(1, 9)}
+    orders = [(o, 1 + o % 3, datetime.datetime(1995 + o % 2, 5, 1)) for o in range(60)]
+    lines = [(o, i, i, float(rng.randrange(20, 51)) * (40 if workload == "supplier" else 1)) for o in range(60) for i in rng.sample(range(1, 9), 3)]
+    spark.createDataFrame(orders, "o_orderkey long, o_custkey long, o_orderdate timestamp").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long, l_suppkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame(list(size.items()), "p_partkey long, p_size int").write.parquet(f"{tmp_path}/part.parquet")
+    price, beta, glmu = (size, 200, 5000) if workload == "part" else ({i: 1 + i % 10 for i in size}, 5000, 20_000)
+    year = defaultdict(Counter)
+    for o, i, _, q in lines:
+        year[orders[o][1], orders[o][2].year][i] += int(q) * price[i]
+    want = {x[1:] for x in enumerated([(0, b) for b in year.values()], lambda items: max(glmu, beta * min(price[i] for i in items)))}
+    assert mined(catalog.QUERIES[f"hui_customer_year_{workload}"](spark, str(tmp_path))) == want and max(k.count(",") for k, _, _ in want) > 2
+
+
+def test_stream_windows_to_full_depth(spark, tmp_path):
+    rng, start = random.Random(9), datetime.datetime(2024, 1, 4)
+    events = [(u, start + datetime.timedelta(days=7 * w, hours=j), 100.0 + rng.randrange(300), f'{{"k": {rng.randrange(8)}}}') for u in range(6) for w in range(2) for j in range(7)]
+    spark.createDataFrame(events, "user_id long, ts timestamp, value double, props string").coalesce(1).write.parquet(f"{tmp_path}/made")
+    os.rename(next((tmp_path / "made").glob("part-*.parquet")), tmp_path / "events.parquet")
+    week = defaultdict(Counter)
+    for u, ts, value, props in events:
+        week[(ts - start).days // 7, u][int(props[6:-1])] += round(value * 100)
+    want = enumerated([(w, b) for (w, _), b in week.items()], lambda items: 100_000)
+    rows = catalog.QUERIES["stream_window_huis_full"](spark, str(tmp_path)).collect()
+    assert {((r["start"] - start).days // 7, r["key"], r["utility"], r["support"]) for r in rows} == want and max(k.count(",") for _, k, _, _ in want) > 2

@@ -258,6 +258,9 @@ _workload("hui_customer_year_supplier_k3", "customer_year_supplier", 20_000, 500
 _workload("hui_user_day", "user_day_key", 20_000, 5000)
 _workload("hui_doc_tokens_k2", "doc_tokens", 100, 30, 2)
 _workload("hui_doc_tokens_whole_k2", "doc_tokens", 100, 30, 2, with_sql=False)
+_workload("hui_customer_year_part", "customer_year_part", 5000, 200, with_sql=False)
+_workload("hui_customer_year_supplier", "customer_year_supplier", 20_000, 5000, with_sql=False)
+_workload("hui_doc_tokens", "doc_tokens", 100, 30, with_sql=False)
 
 
 def _uniform(variant: str) -> None:
@@ -509,14 +512,23 @@ sub(start, tid, last, key, k, u) as (select start, tid, item, item::varchar, 1,
 select start, key, k, sum(u)::bigint as utility, 100000::bigint as miu, count(*) as support from sub group by start, key, k having sum(u) >= 100000"""
 
 
-@query("stream_window_huis", _stream_huis_sql())
-def _(s, d):
+def _stream_huis(s: SparkSession, d: str, **options) -> DataFrame:
     made = windows.window_baskets(windows.event_stream(s, d), "7 days")
     items = s.range(100).select(F.col("id").alias("item"))
-    per_batch = lambda b: windows.mine_windows(b, T.uniform(items, 100_000), engine="hybrid", max_len=3)
+    per_batch = lambda b: windows.mine_windows(b, T.uniform(items, 100_000), engine="hybrid", **options)
     return windows.run_to_table(made, "complete", per_batch)
 
 
+@query("stream_window_huis", _stream_huis_sql())
+def _(s, d):
+    return _stream_huis(s, d, max_len=3)
+
+
+@query("stream_window_huis_full")
+def _(s, d):
+    return _stream_huis(s, d)
+
+
 # measurements, without SQL
 
 
