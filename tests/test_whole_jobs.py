@@ -102,3 +102,30 @@ def test_stream_windows_to_full_depth(spark, tmp_path):
     want = enumerated([(w, b) for (w, _), b in week.items()], lambda items: 100_000)
     rows = catalog.QUERIES["stream_window_huis_full"](spark, str(tmp_path)).collect()
     assert {((r["start"] - start).days // 7, r["key"], r["utility"], r["support"]) for r in rows} == want and max(k.count(",") for _, k, _, _ in want) > 2
+
+
+def test_pruning_grids_are_whole(spark, sf, monkeypatch):
+    monkeypatch.setattr(catalog.stats, "pruning_counts", lambda lines, grid: grid)
+    for name, grid in (("glmu", catalog.GRID_GLMU), ("beta", catalog.GRID_BETA)):
+        assert catalog.QUERIES[f"pruning_counts_by_{name}_grid"](spark, sf) == grid and len(grid) > 1
+
+
+def test_runtime_query_has_the_baselines(spark, sf, monkeypatch):
+    asked = {}
+    monkeypatch.setattr(catalog.stats, "runtimes", lambda lines, grid, **how: asked.update(grid=grid, **how))
+    catalog.QUERIES["search_stats_runtime"](spark, sf)
+    assert {*catalog.GRID_GLMU, *catalog.GRID_BETA, (catalog.GLMU, catalog.BETA)} == set(asked["grid"]) and asked.get("with_levelwise", True)
+
+
+def test_scalability_runs_on_the_tables(spark, sf, monkeypatch):
+    seen = {}
+
+    def counted_runs(sizes, glmu, beta):
+        seen.update({name: lines for name, lines in sizes.items()})
+        return spark.createDataFrame([(n,) for n in sizes], "size string")
+
+    monkeypatch.setattr(catalog.stats, "scalability", counted_runs)
+    assert catalog.QUERIES["scalability_runs"](spark, sf).count() == 17
+    baskets = [seen[f"order_brand {i}/4"].select("tid").distinct().count() for i in range(1, 5)]
+    assert baskets == sorted(set(baskets)) and baskets[-1] == catalog.brand(spark, sf).select("tid").distinct().count()
+    assert {f"generated {n}" for n in (100_000, 500_000)} <= set(seen)

@@ -348,6 +348,13 @@ for _name, _grid in (("pruning_counts_by_glmu", GRID_GLMU[:1]), ("pruning_counts
         return stats.pruning_counts(brand(s, d), grid)
 
 
+for _name, _grid in (("pruning_counts_by_glmu_grid", GRID_GLMU), ("pruning_counts_by_beta_grid", GRID_BETA)):
+
+    @query(_name)
+    def _(s, d, grid=_grid):
+        return stats.pruning_counts(brand(s, d), grid)
+
+
 _JOINS = " union all ".join(f"select '{v}' as variant, n as joins from j_{v}" for v in O.ALL_VARIANTS)
 
 
@@ -534,7 +541,7 @@ def _(s, d):
 
 @query("search_stats_runtime")
 def _(s, d):
-    return stats.runtimes(brand(s, d), [(GLMU, BETA)], with_levelwise=False)
+    return stats.runtimes(brand(s, d), list(dict.fromkeys([(GLMU, BETA), *GRID_GLMU, *GRID_BETA])))
 
 
 @query("memory_profile")
@@ -546,7 +553,25 @@ def _(s, d):
     return s.createDataFrame(rows, "method string, heap_mb double, python_mb double")
 
 
+def _nested(lines: DataFrame, parts: int = 4) -> dict[str, DataFrame]:
+    """Growing shares of the baskets, each within the next, up to all of them."""
+    share = F.pmod(F.xxhash64("tid"), F.lit(parts))
+    return {f"{i}/{parts}": lines.where(share < i) for i in range(1, parts)} | {f"{parts}/{parts}": lines}
+
+
+SCALED = {"order_part": (6500, 100), "customer_year_supplier": (20_000, 5000), "order_brand": (GLMU, BETA)}
+GENERATED = (100_000, 200_000, 300_000, 400_000, 500_000)
+
+
 @query("scalability_runs")
 def _(s, d):
-    sizes = {f"{n}": quest_like(s, n, items=400, mean_len=5, patterns=200) for n in (1000, 2000)}
-    return stats.scalability(sizes, 100_000, 1000)
+    """The tables' workloads in nested shares, and generated baskets (4,000 items, mean length 10) of five sizes."""
+    return _scaled(s, d).unionByName(stats.scalability({f"generated {n}": quest_like(s, n) for n in GENERATED}, 100_000, 1000))
+
+
+def _scaled(s: SparkSession, d: str) -> DataFrame:
+    out = None
+    for w, (glmu, beta) in SCALED.items():
+        own = stats.scalability({f"{w} {n}": lines for n, lines in _nested(workloads.ALL[w](s, d)).items()}, glmu, beta)
+        out = own if out is None else out.unionByName(own)
+    return out
