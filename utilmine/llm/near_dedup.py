@@ -1,23 +1,24 @@
 """Near-duplicate detection: improved consistent weighted sampling over TF-IDF shingles, banded, verified by weighted Jaccard similarity.
 
-1. Document frequencies of five-word shingles are counted over all documents into a table of 2**18 buckets, fixed at any
-   size of the input: a rare shingle shares a bucket with others and looks as rare as all of them, a frequent one stands out.
-   A shingle weighs (1 + ln tf) * (1/2 + idf/2), idf = log(1 + N/df) / log(1 + N); plain tf would make texts near
+1. The documents that hold each five-word shingle are counted over all documents into a table of 2**18 buckets, fixed at any
+   size of the input. A shingle's share of documents is its bucket's count, less the usual count of a bucket, over the number of documents;
+   shares do not change with the size of the input, so neither do weights. A shingle weighs (1 + ln tf) * (1/2 + idf/2), where
+   idf falls from 1, for shares up to 1%, to 0 for a shingle of all documents; plain tf would make texts near
    that share nothing but one phrase repeated a hundred times.
 2. Each text gets 56 consistent weighted samples and 56 unweighted ones (least hashes of its shingles), as either similarity makes a
    link: where counts differ, texts near by the plain one can be far by the weighted one. Four samples of a kind make a band key.
-   Texts of equal words are one node.
+   Texts of equal words are one node, named by 128 bits of hashes.
 3. In each bucket (equal band keys) every node is compared with the bucket's least node; verified pairs become links, links components.
-   In buckets that still hold several components, members are compared with a drawn member of another component.
-   So groups of copies cost a few comparisons for each member, not one for each pair. No link is given up: what still
+   So groups of copies cost a few comparisons for each member, not one for each pair. No link within a bucket is given up: what still
    differs then is compared pair by pair in buckets of up to 32 (unless the samples exclude 0.8 for both similarities); larger buckets that overlap
    are put together, their members dealt into blocks of bounded size, and each pair of blocks is compared as matrices
    in one task, which returns a spanning set of links and no pairs.
-4. A pair counts as near if the weighted or the plain Jaccard similarity of its shingles is 0.8 or more.
+4. A pair counts as near if the weighted or the plain Jaccard similarity of its shingles is 0.8 or more. At 0.8 a pair shares a band
+   with a chance above 0.999.
 
 Defined results: a null text is an empty one; texts without words are copies of one another; a text of one to four words has one shingle, its
 words; a null doc_id takes part like any other and its class is named by the least id that is not null, if any; an empty table
-gives an empty result. Node ids are 64-bit hashes of the words.
+gives an empty result; columns of any name pass through.
 """
 
 from __future__ import annotations
@@ -31,19 +32,21 @@ from pyspark.sql import functions as F
 
 from utilmine.llm import tokens
 from utilmine.llm.components import components
-from utilmine.llm.shared import written
+from utilmine.llm.shared import broadcast_if_small, unused_prefix, whole_row, written
 from utilmine.llm.tokens import WORD_POWERS, Block, mix, prefix, span_hashes
 
 WIDTH, SIMILARITY = 5, 0.8
 ROWS, BANDS = 4, 14
 FREQUENCY_BITS, HASH_BITS = 18, 46
+#: Shingles in no more than this share of the documents weigh most.
+RARE = 0.01
 BLOCK = 1 << 18
 BUCKETS = 1 << 20
-#: A pair at similarity 0.8 agrees in fewer of its 56 samples of that kind than this with a chance below 1e-5.
+#: A pair at similarity 0.8 agrees in fewer of its 56 samples of that kind than this with a chance below 1e-5. Samples are kept as 8 bits, which only adds agreement.
 LEAST_AGREEING = 32
-STAR_ROUNDS = 1
 #: Members of a bucket that are compared pair by pair; nodes and bytes of a block of a larger one; columns of a matrix.
 SMALL, BLOCK_NODES, BLOCK_BYTES, COLUMNS = 32, 500, 2 << 20, 1024
+LINKS = "a binary, b binary, similarity double"
 
 _draw = np.random.default_rng(20240229)
 _R = _draw.gamma(2.0, 1.0, 1 << 16).astype(np.float32)
@@ -83,14 +86,19 @@ def _count_frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordB
     yield pa.record_batch({"bucket": pa.array(np.append(-1, at).astype(np.int32)), "n": pa.array(np.append(n, counts[at]))})
 
 
+def bucket_weights(counts: np.ndarray, n: int) -> np.ndarray:
+    """The weight of each bucket, between 1/2 and 1, from the documents counted in it, of n in all."""
+    share = np.clip((counts - np.median(counts)) / max(n, 1), RARE, 1)
+    return (0.5 + 0.5 * np.log(share) / np.log(RARE)).astype(np.float32)
+
+
 def frequency_table(docs: DataFrame) -> np.ndarray:
-    """The weight of each bucket, idf scaled to [1/2, 1]: 2**18 floats, whatever the input."""
+    """2**18 floats, whatever the input."""
     table = docs.select("text").mapInArrow(_count_frequencies, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
     bucket, n = table["bucket"].to_numpy(), table["n"].to_numpy()
-    total = int(n[bucket == -1].sum())
-    counts = np.ones(1 << FREQUENCY_BITS)
+    counts = np.zeros(1 << FREQUENCY_BITS)
     counts[bucket[bucket >= 0]] = n[bucket >= 0]
-    return (0.5 + 0.5 * np.log1p(total / counts) / np.log1p(max(total, 1))).astype(np.float32)
+    return bucket_weights(counts, int(n[bucket == -1].sum()))
 
 
 def samples(owner: np.ndarray, shingles: np.ndarray, weights: np.ndarray) -> np.ndarray:
@@ -136,25 +144,29 @@ def band_keys(found: np.ndarray) -> np.ndarray:
     return bands + np.arange(bands.shape[1], dtype=np.uint64)
 
 
+def node_names(block: Block, hashes: np.ndarray) -> pa.Array:
+    """16 bytes for each text, from two independent hashes of its words."""
+    ways = (prefix(hashes, WORD_POWERS), prefix(mix(hashes + np.uint64(77)), WORD_POWERS))
+    names = np.stack([span_hashes(x, block.at[:-1], block.at[1:], WORD_POWERS) + mix(block.counts.astype(np.uint64)) for x in ways], 1)
+    return pa.array([row.tobytes() for row in names], pa.binary())
+
+
 def _sketcher(table):
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         weight_of = table.value
         for batch in batches:
             names = batch.schema.names
-            key, doc = (batch.column(names.index(c)) for c in ("key", "doc_id"))
+            key, other, doc = (batch.column(names.index(c)) for c in ("key", "other", "doc_id"))
             for block in tokens.blocks(batch.column(names.index("text")), BLOCK):
                 owner, shingle, count = weighted_shingles(block)
-                hashes = block.hashes()
-                one, two = prefix(hashes, WORD_POWERS), prefix(mix(hashes + np.uint64(77)), WORD_POWERS)
-                node, check = (span_hashes(x, block.at[:-1], block.at[1:], WORD_POWERS) + mix(block.counts.astype(np.uint64)) for x in (one, two))
                 keys, drawn = [None] * len(block), [None] * len(block)
                 if len(owner):
                     found = np.hstack([samples(owner, shingle, (1 + np.log(count)) * weight_of[bucket_of(shingle)]), plain_samples(owner, shingle)])
-                    bands = band_keys(found)
+                    bands, low = band_keys(found), found.astype(np.uint8).view(np.int8)
                     for k, i in enumerate(np.unique(owner)):
-                        keys[i], drawn[i] = bands[k].view(np.int64), found[k].view(np.int32)
-                n = len(block)
-                yield pa.record_batch({"key": key.slice(block.first, n), "doc_id": doc.slice(block.first, n), "node": pa.array(node.view(np.int64)), "check": pa.array(check.view(np.int64)), "bands": pa.array(keys, pa.list_(pa.int64())), "samples": pa.array(drawn, pa.list_(pa.int32()))})
+                        keys[i], drawn[i] = bands[k].view(np.int64), low[k]
+                own = lambda c: c.slice(block.first, len(block))  # noqa: B023, E731
+                yield pa.record_batch({"key": own(key), "other": own(other), "doc_id": own(doc), "node": node_names(block, block.hashes()), "bands": pa.array(keys, pa.list_(pa.int64())), "samples": pa.array(drawn, pa.list_(pa.int8()))})
 
     return rows
 
@@ -243,59 +255,56 @@ def block_links(texts: pa.Array, weight_of: np.ndarray, threshold: float) -> np.
 def _block_comparer(table, threshold: float):
     def links(group: pa.Table) -> pa.Table:
         group = group.combine_chunks()
-        node = group["node"].to_numpy()
+        node = group["node"].combine_chunks() if isinstance(group["node"], pa.ChunkedArray) else group["node"]
         first = block_links(group["text"].combine_chunks() if isinstance(group["text"], pa.ChunkedArray) else group["text"], table.value, threshold)
         other = first != np.arange(len(first))
-        return pa.table({"a": pa.array(node[first[other]]), "b": pa.array(node[other]), "similarity": pa.array(np.full(int(other.sum()), threshold))})
+        return pa.table({"a": node.take(pa.array(first[other])), "b": node.filter(pa.array(other)), "similarity": pa.array(np.full(int(other.sum()), threshold))})
 
     return links
 
 
 class NearCopies:
-    """One run over docs (doc_id, text); links holds the verified pairs of nodes so far."""
+    """One run over docs (doc_id, text); links holds the verified pairs of nodes so far.
+
+    Tables that are joined are written first: a join of two plain exchanges can be split where a key is hot, and a small side is broadcast.
+    """
 
     def __init__(self, docs: DataFrame, threshold: float = SIMILARITY):
         spark = docs.sparkSession
         self.threshold = threshold
         self.table = spark.sparkContext.broadcast(frequency_table(docs))
-        rows = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("key"))
+        rows = docs.select("doc_id", "text", whole_row(docs, 1).alias("key"), whole_row(docs, 2).alias("other"))
         kind = docs.schema["doc_id"].dataType.simpleString()
-        self.sketches = written(rows.mapInArrow(_sketcher(self.table), f"key long, doc_id {kind}, node long, check long, bands array<long>, samples array<int>"))
-        self.nodes = written(self.sketches.groupBy("node", "check").agg(F.min("key").alias("key"), F.first("bands").alias("bands"), F.first("samples").alias("samples")).where("bands is not null"))
-        members = self.nodes.select("node", F.explode("bands").alias("band"))
-        shared = members.groupBy("band").agg(F.min("node").alias("least"), F.max("node").alias("most")).where("least < most").select("band", "least")
+        self.sketches = written(rows.mapInArrow(_sketcher(self.table), f"key long, other long, doc_id {kind}, node binary, bands array<long>, samples array<tinyint>"))
+        first = F.min(F.struct("key", "other")).alias("row")
+        self.nodes = written(self.sketches.where("bands is not null").groupBy("node").agg(first, F.first("bands").alias("bands"), F.first("samples").alias("samples")))
+        members = written(self.nodes.select("node", F.explode("bands").alias("band")))
+        shared = written(members.groupBy("band").agg(F.min("node").alias("least"), F.max("node").alias("most")).where("least < most").select("band", "least"))
         self.members = written(members.join(shared, "band"))
-        involved = self.members.select("node").distinct().join(self.nodes.select("node", "key"), "node")
+        involved = written(self.members.select("node").distinct().join(self.nodes.select("node", "row"), "node").select("node", "row.*"))
         sieve = F.broadcast(involved.select(F.pmod("key", F.lit(BUCKETS)).alias("bucket")).distinct())
-        near = rows.select("text", "key", F.pmod("key", F.lit(BUCKETS)).alias("bucket")).join(sieve, "bucket", "left_semi")
-        self.texts = written(near.join(involved, "key").select("node", "text").dropDuplicates(["node"]))
+        near = rows.select("text", "key", "other", F.pmod("key", F.lit(BUCKETS)).alias("bucket")).join(sieve, "bucket", "left_semi")
+        self.texts = written(near.join(involved, ["key", "other"]).select("node", "text").dropDuplicates(["node"]))
         self.links = self.verified(self.members.where("least < node").select(F.col("least").alias("a"), F.col("node").alias("b")).distinct())
         self.settle()
 
     def verified(self, pairs: DataFrame) -> DataFrame:
         one, two = (self.texts.select(F.col("node").alias(c), F.col("text").alias(f"text_{c}")) for c in "ab")
-        found = pairs.join(one, "a").join(two, "b").select("a", "b", "text_a", "text_b").mapInArrow(_verifier(self.table), "a long, b long, similarity double")
+        found = pairs.join(one, "a").join(two, "b").select("a", "b", "text_a", "text_b").mapInArrow(_verifier(self.table), LINKS)
         return written(found.where(F.col("similarity") >= self.threshold))
 
-    def mixed(self) -> DataFrame:
-        """Members of buckets with several components: band, node, label, samples."""
-        labels = components(self.links)
-        placed = self.members.select("band", "node").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-        several = placed.groupBy("band").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("band")
-        return written(placed.join(several, "band").join(self.nodes.select("node", "samples"), "node"))
-
     def settle(self) -> None:
-        for turn in range(STAR_ROUNDS):
-            mixed = self.mixed()
-            drawn = written(mixed.groupBy("band").agg(F.min(F.struct(F.xxhash64(F.lit(turn), "band", "node").alias("draw"), "node")).alias("d")).select("band", F.col("d.node").alias("b")))
-            drawn = written(drawn.join(mixed.select("band", F.col("node").alias("b"), F.col("label").alias("label_b"), F.col("samples").alias("samples_b")), ["band", "b"]))
-            self.add(self.verified(self._unlike(mixed.join(drawn, "band"))))
-        mixed = self.mixed()
-        sizes = written(mixed.groupBy("band").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("lead")))
-        few = mixed.join(sizes.where(F.col("n") <= SMALL).select("band"), "band")
+        """What buckets with several components still hold."""
+        labels = components(self.links)
+        placed = written(self.members.select("band", "node").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")))
+        low, high = F.min("label").alias("low"), F.max("label").alias("high")
+        sizes = written(placed.groupBy("band").agg(low, high, F.count(F.lit(1)).alias("n"), F.min("node").alias("lead")).where("low < high").select("band", "n", "lead"))
+        few = written(placed.join(sizes.where(F.col("n") <= SMALL).select("band"), "band"))
+        few = written(few.join(self.nodes.select("node", "samples"), "node"))
         other = few.select("band", F.col("node").alias("b"), F.col("label").alias("label_b"), F.col("samples").alias("samples_b"))
+        many = written(placed.join(sizes.where(F.col("n") > SMALL), "band").select(F.col("node").alias("a"), F.col("lead").alias("b")))
         self.add(self.verified(self._unlike(few.join(other, (few["band"] == other["band"]) & (F.col("node") < F.col("b"))))))
-        self.add(self._in_blocks(mixed.select("band", "node").join(sizes.where(F.col("n") > SMALL), "band").select(F.col("node").alias("a"), F.col("lead").alias("b"))))
+        self.add(self._in_blocks(many))
 
     @staticmethod
     def _unlike(pairs: DataFrame) -> DataFrame:
@@ -318,25 +327,40 @@ class NearCopies:
         blocks = written(texts.groupBy("cluster").agg(blocks.cast("int").alias("blocks")))
         placed = texts.join(blocks, "cluster").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         placed = placed.select("cluster", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "node", "text")
-        return written(placed.groupBy("cluster", "i", "j").applyInArrow(_block_comparer(self.table, self.threshold), "a long, b long, similarity double"))
+        return written(placed.groupBy("cluster", "i", "j").applyInArrow(_block_comparer(self.table, self.threshold), LINKS))
 
     def classes(self) -> DataFrame:
-        """key, doc_id, node, label for every row of docs; label names the class."""
+        """key, other, doc_id, node, label for every row of docs; label names the class."""
         labels = components(self.links)
-        return self.sketches.select("key", "doc_id", "node").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+        return self.sketches.select("key", "other", "doc_id", "node").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
 
 
 def near_duplicates(docs: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
     """For each row of docs: doc_id, class_id (the least doc_id of its class) and class_size."""
-    rows = written(NearCopies(docs, threshold).classes())
+    rows = written(NearCopies(docs.select("doc_id", "text"), threshold).classes())
     named = written(rows.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.count(F.lit(1)).alias("class_size")))
     return rows.join(named, "label").select("doc_id", "class_id", "class_size")
 
 
 def without_near_copies(docs: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
-    """docs with one document of each class, that of the least doc_id (a null counts as larger than all)."""
-    rows = written(NearCopies(docs, threshold).classes())
-    order = F.struct(F.col("doc_id").isNull(), "doc_id", "key")
-    kept = rows.groupBy("label").agg(F.min(order).alias("first")).select(F.col("first.key").alias("__key"))
-    keyed = docs.withColumn("__key", F.xxhash64("doc_id", "text"))
-    return keyed.join(kept, "__key").dropDuplicates(["__key"]).select(*docs.columns)
+    """docs with one document of each class, that of the least doc_id (a null counts as larger than all), then by a hash of the row.
+
+    Rows are told apart by 128 bits of hashes of all their columns. Only the keys of rows that go, and of kept rows that are repeated, are joined to
+    the texts, behind a sieve of key buckets.
+    """
+    rows = written(NearCopies(docs, threshold).classes().select("key", "other", "doc_id", "label"))
+    order = F.struct(F.col("doc_id").isNull(), "doc_id", "key", "other")
+    first = written(rows.groupBy("label").agg(F.min(order).alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("label", F.col("first.key").alias("first_key"), F.col("first.other").alias("first_other")))
+    stays = (F.col("key") == F.col("first_key")) & (F.col("other") == F.col("first_other"))
+    marks = written(rows.join(first, "label").groupBy("key", "other").agg(F.max(stays).alias("stays"), F.count(F.lit(1)).alias("n")).where("not stays or n > 1"))
+    p = unused_prefix(docs)
+    keyed = docs.withColumns({f"{p}key": whole_row(docs, 1), f"{p}other": whole_row(docs, 2)})
+    on = (F.col(f"{p}key") == F.col("key")) & (F.col(f"{p}other") == F.col("other"))
+    sieve = F.broadcast(marks.select(F.pmod("key", F.lit(BUCKETS)).alias("bucket")).distinct())
+    inside = F.pmod(f"{p}key", F.lit(BUCKETS)) == F.col("bucket")
+    own = [F.col(f"`{c}`") for c in docs.columns]
+    never = keyed.join(sieve, inside, "left_anti").select(*own)
+    maybe = keyed.join(sieve, inside, "left_semi")
+    small = broadcast_if_small(marks.select("key", "other"))
+    again = maybe.join(broadcast_if_small(marks.where("stays").select("key", "other")), on, "left_semi").dropDuplicates([f"{p}key", f"{p}other"])
+    return never.unionByName(maybe.join(small, on, "left_anti").select(*own)).unionByName(again.select(*own))

@@ -18,15 +18,19 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """A new folder name below the one that the cluster shares (spark.checkpoint.dir); tests without one get a temporary folder."""
+    """A new folder name below the one that all machines share: spark.checkpoint.dir, or the checkpoint folder set on the context. Without either, local
+    sessions get a temporary folder; on a cluster that would lose rows and is an error."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        current = spark.sparkContext._jsc.sc().getCheckpointDir()
+        context = spark.sparkContext
+        current = context._jsc.sc().getCheckpointDir()
         if current.isDefined():
             root = current.get()
-        else:
+        elif context.master.startswith("local") and not context.master.startswith("local-cluster"):
             root = tempfile.mkdtemp(prefix="spark-shared-")
-            spark.sparkContext.setCheckpointDir(root)
+            context.setCheckpointDir(root)
+        else:
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return f"{root.rstrip('/')}/{uuid.uuid4().hex}"
 
 
@@ -43,6 +47,20 @@ def broadcast_if_small(df: DataFrame, most_rows: int = 100_000) -> DataFrame:
     return F.broadcast(df) if few else df
 
 
+def unused_prefix(df: DataFrame) -> str:
+    """Underscores that no column of df starts with, for columns beside those of the input."""
+    prefix = "_"
+    while any(c.startswith(prefix) for c in df.columns):
+        prefix += "_"
+    return prefix
+
+
+def whole_row(df: DataFrame, seed: int) -> Column:
+    """A 64-bit hash of all columns of df; nulls are told apart by their place."""
+    columns = [F.to_json(f.name) if "map<" in f.dataType.simpleString() else F.col(f"`{f.name}`") for f in df.schema]
+    return F.xxhash64(F.lit(seed), F.concat(*(F.when(c.isNull(), "1").otherwise("0") for c in columns)), *columns)
+
+
 def let(value: Column, body) -> Column:
     """body(value) with value computed once, as lambdas do not share subexpressions with the rest of a plan."""
     return F.element_at(F.transform(F.array(value), body), 1)
