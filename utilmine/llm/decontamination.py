@@ -12,7 +12,8 @@ Words are runs of letters and digits, without case. An item of fewer than five w
 The benchmark does not grow with the corpus; its size is checked and a larger one is refused. Documents are read in one scan
 without an exchange.
 
-Defined results: a null text or item has no words and matches nothing; a null doc_id is reported as null; repeated rows are reported each; empty
+Defined results: a null text or item has no words and matches nothing; a null doc_id is reported as null; repeated rows are reported each; an
+item of null id is reported as null, items that share an id are looked for each (a document can then have several rows of that id); empty
 tables give an empty result.
 """
 
@@ -25,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from utilmine.llm import tokens
+from utilmine.llm.shared import plain_names, unused_prefix
 from utilmine.llm.tokens import ALNUM_WORD, Block, mix
 
 WIDTH, SIMILARITY = 5, 0.8
@@ -49,6 +51,14 @@ def packed(sums: np.ndarray) -> np.ndarray:
     return np.packbits(sums > 0, axis=1).view(np.uint64).ravel()
 
 
+def covered(starts: np.ndarray, span: int, low: int, high: int) -> np.ndarray:
+    """The positions from low to before high that lie in [s, s + span) for some s of starts, in memory of the order of high - low."""
+    edges = np.zeros(max(high - low, 0) + 1, np.int64)
+    np.add.at(edges, np.clip(starts - low, 0, len(edges) - 1), 1)
+    np.add.at(edges, np.clip(starts + span - low, 0, len(edges) - 1), -1)
+    return low + np.flatnonzero(np.cumsum(edges)[:-1] > 0)
+
+
 class Item:
     def __init__(self, item_id: int, n_words: int, shingles: np.ndarray):
         self.id, self.n, self.width = item_id, n_words, min(n_words, WIDTH)
@@ -122,13 +132,12 @@ class Index:
         for size in np.unique(np.concatenate([known_sizes[a:b] for a, b in zip(left, right, strict=True)])):
             span = min(size - width + 1, len(shingles))
             own = found[[size in known_sizes[a:b] for a, b in zip(left, right, strict=True)]]
-            starts = np.unique((own[:, None] - np.arange(span)[None, :]).ravel())
-            starts = starts[(starts >= 0) & (starts + span <= len(shingles))]
+            starts = covered(own - (span - 1), span, 0, len(shingles) - span + 1)
             for part in np.split(starts, range(STRETCH, len(starts), STRETCH)):
                 if not len(part):
                     continue
                 low, high = int(part[0]), int(part[-1]) + span
-                inner = np.unique((part[:, None] + np.arange(span)[None, :]).ravel()) if high - low > 4 * len(part) + span else np.arange(low, high)
+                inner = covered(part, span, low, high)
                 sums = np.zeros((len(inner) + 1, 64), np.int32)
                 np.cumsum(signs(shingles[inner]), 0, out=sums[1:])
                 at = np.searchsorted(inner, part)
@@ -174,7 +183,8 @@ def benchmark_index(benchmark: DataFrame, most_bytes: int = MOST_ITEM_BYTES) ->
     size = benchmark.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     if size > most_bytes:
         raise ValueError(f"the benchmark has {size} bytes, more than {most_bytes}; search it in parts")
-    return Index(sorted((r["item_id"], r["text"]) for r in benchmark.select("item_id", "text").collect()))
+    rows = ((r["item_id"], r["text"]) for r in benchmark.select("item_id", "text").collect())
+    return Index(sorted(rows, key=lambda r: (r[0] is None, r[0] or 0, r[1] or "")))
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
@@ -197,4 +207,5 @@ def without_contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float
                 keep[found.column(0).to_numpy()] = False
             yield batch.filter(pa.array(keep))
 
-    return docs.mapInArrow(passing, docs.schema)
+    named = docs.toDF(*plain_names(docs.columns, unused_prefix(docs)))
+    return named.mapInArrow(passing, named.schema).toDF(*docs.columns)

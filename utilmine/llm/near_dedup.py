@@ -355,12 +355,14 @@ def without_near_copies(docs: DataFrame, threshold: float = SIMILARITY) -> DataF
     marks = written(rows.join(first, "label").groupBy("key", "other").agg(F.max(stays).alias("stays"), F.count(F.lit(1)).alias("n")).where("not stays or n > 1"))
     p = unused_prefix(docs)
     keyed = docs.withColumns({f"{p}key": whole_row(docs, 1), f"{p}other": whole_row(docs, 2)})
-    on = (F.col(f"{p}key") == F.col("key")) & (F.col(f"{p}other") == F.col("other"))
-    sieve = F.broadcast(marks.select(F.pmod("key", F.lit(BUCKETS)).alias("bucket")).distinct())
-    inside = F.pmod(f"{p}key", F.lit(BUCKETS)) == F.col("bucket")
+    names = {"key": f"{p}mark", "other": f"{p}mark_other"}
+    marks = marks.withColumnsRenamed(names)
+    on = (F.col(f"{p}key") == F.col(f"{p}mark")) & (F.col(f"{p}other") == F.col(f"{p}mark_other"))
+    sieve = F.broadcast(marks.select(F.pmod(f"{p}mark", F.lit(BUCKETS)).alias(f"{p}bucket")).distinct())
+    inside = F.pmod(f"{p}key", F.lit(BUCKETS)) == F.col(f"{p}bucket")
     own = [F.col(f"`{c}`") for c in docs.columns]
     never = keyed.join(sieve, inside, "left_anti").select(*own)
     maybe = keyed.join(sieve, inside, "left_semi")
-    small = broadcast_if_small(marks.select("key", "other"))
-    again = maybe.join(broadcast_if_small(marks.where("stays").select("key", "other")), on, "left_semi").dropDuplicates([f"{p}key", f"{p}other"])
+    small = broadcast_if_small(marks.select(*names.values()))
+    again = maybe.join(broadcast_if_small(marks.where("stays").select(*names.values())), on, "left_semi").dropDuplicates([f"{p}key", f"{p}other"])
     return never.unionByName(maybe.join(small, on, "left_anti").select(*own)).unionByName(again.select(*own))

@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from utilmine.llm import tokens
-from utilmine.llm.shared import broadcast_if_small, written
+from utilmine.llm.shared import broadcast_if_small, unused_prefix, written
 from utilmine.llm.tokens import ALNUM_WORD, Block
 
 WORD_BITS = 22
@@ -213,7 +213,8 @@ def classify(docs: DataFrame, labels: DataFrame, host: Column | None = None, pat
 
 def without_rejected(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """docs without the documents that classify rejects."""
-    extra = [c for c in docs.columns if not c.startswith("__")]
-    renamed = docs.select(*(F.col(c).alias(f"__in_{c}") for c in extra), *extra)
-    kept = classify(renamed, labels, keep=[f"__in_{c}" for c in extra], **options).where("kept")
-    return kept.select(*(F.col(f"__in_{c}").alias(c) for c in extra))
+    p = unused_prefix(docs)
+    names = {c: f"{p}in{i}" for i, c in enumerate(docs.columns)}
+    renamed = docs.select(*(F.col(f"`{c}`").alias(n) for c, n in names.items()), *(F.col(f"`{c}`") for c in docs.columns))
+    kept = classify(renamed, labels, keep=list(names.values()), **options).where("kept")
+    return kept.select(*(F.col(n).alias(c) for c, n in names.items()))

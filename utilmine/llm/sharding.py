@@ -10,7 +10,8 @@ A rerun or a recomputed task gives the same files, as the canonical order does n
 
 Defined results: a null text counts 0 bytes, crc32 of nothing; a null doc_id is a key like any other; repeated rows are kept, with
 slots of their own (records equal in id and text go to one bucket, the only case where a bucket outgrows its size); an
-empty table gives no files; columns of any name pass through, those named __shard, __bucket and __place excepted.
+empty table gives no files; columns of any name pass through: helper columns get names that no column of the input starts with, and an
+input column named shard or slot comes back with underscores appended, as those two names are the result's.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
-from utilmine.llm.shared import broadcast_if_small, shared_folder
+from utilmine.llm.shared import broadcast_if_small, plain_names, shared_folder, unused_prefix
 
 RECORD_BYTES = 16
 
@@ -37,46 +38,59 @@ def shard_of(key: Column, shards: int, seed: int) -> Column:
     return F.array_max(draws)["shard"]
 
 
-def scatter(docs: DataFrame, shards: int, bucket_bytes: int, seed: int) -> tuple[DataFrame, int]:
-    """docs with __shard and __bucket, and the number of buckets in a shard; one number comes to the driver."""
+def scatter(docs: DataFrame, shards: int, bucket_bytes: int, seed: int, p: str) -> tuple[DataFrame, int]:
+    """docs with shard and bucket, named behind the prefix p, and the number of buckets in a shard; one number comes to the driver."""
     total = docs.agg(F.sum(record_size(F.col("text")))).first()[0] or 0
     buckets = max(1, -(-total // (shards * bucket_bytes)))
     place = F.pmod(F.xxhash64(F.lit(seed + 1), "doc_id", "text"), F.lit(buckets)).cast("int")
-    return docs.withColumns({"__shard": shard_of(F.col("doc_id"), shards, seed), "__bucket": place}), buckets
+    return docs.withColumns({f"{p}shard": shard_of(F.col("doc_id"), shards, seed), f"{p}bucket": place}), buckets
 
 
-def _shuffler(seed: int, by: tuple[str, ...]):
+def _shuffler(seed: int, by: tuple[str, ...], p: str):
     def shuffle(bucket: pa.Table) -> pa.Table:
-        shard, number = bucket["__shard"][0].as_py(), bucket["__bucket"][0].as_py()
+        shard, number = bucket[f"{p}shard"][0].as_py(), bucket[f"{p}bucket"][0].as_py()
         ordered = pc.sort_indices(bucket, [(c, "ascending") for c in by]).to_numpy()
         drawn = np.random.Generator(np.random.PCG64([seed, shard, number])).permutation(ordered)  # Fisher-Yates
-        return bucket.take(pa.array(drawn)).append_column("__place", pa.array(np.arange(bucket.num_rows, dtype=np.int64)))
+        return bucket.take(pa.array(drawn)).append_column(f"{p}place", pa.array(np.arange(bucket.num_rows, dtype=np.int64)))
 
     return shuffle
 
 
 def write_shards(docs: DataFrame, path: str, shards: int = 40, bucket_bytes: int = 8 << 20, seed: int = 7) -> None:
-    """Writes the records of docs below path as __shard=s/*.parquet, shuffled, each with its bucket and place in the bucket.
+    """Writes the records of docs below path in a folder for each shard, shuffled, each with its bucket and place in the bucket.
 
-    bucket_bytes is what a task may hold of a bucket, a few times over; a shard has as many buckets as its bytes need.
+    bucket_bytes is what a task may hold of a bucket, a few times over; a shard has as many buckets as its bytes need. Names of
+    folders and added columns start with a prefix that no column of docs has.
     """
-    spread, buckets = scatter(docs, shards, bucket_bytes, seed)
+    p = unused_prefix(docs)
+    spread, buckets = scatter(docs.toDF(*plain_names(docs.columns, p)), shards, bucket_bytes, seed, p)
     parts = max(shards * buckets, docs.sparkSession.sparkContext.defaultParallelism) if shards * buckets < 100_000 else 100_000
-    dealt = spread.repartition(parts, "__shard", "__bucket")
-    schema = StructType([*spread.schema.fields, StructField("__place", LongType())])
-    shuffled = dealt.groupBy("__shard", "__bucket").applyInArrow(_shuffler(seed, ("doc_id", "text")), schema)
-    shuffled.sortWithinPartitions("__shard", "__bucket", "__place").write.partitionBy("__shard").parquet(path)
+    dealt = spread.repartition(parts, f"{p}shard", f"{p}bucket")
+    schema = StructType([*spread.schema.fields, StructField(f"{p}place", LongType())])
+    shuffled = dealt.groupBy(f"{p}shard", f"{p}bucket").applyInArrow(_shuffler(seed, ("doc_id", "text"), p), schema)
+    shuffled.sortWithinPartitions(f"{p}shard", f"{p}bucket", f"{p}place").write.partitionBy(f"{p}shard").parquet(path)
 
 
 def read_shards(spark, path: str, schema: StructType) -> DataFrame:
     """The written records with shard and slot. Offsets come from counts by bucket, added up within each shard."""
-    full = StructType([*schema.fields, StructField("__bucket", IntegerType()), StructField("__place", LongType()), StructField("__shard", IntegerType())])
+    p = unused_prefix(spark.createDataFrame([], schema))
+    shard, bucket = f"{p}shard", f"{p}bucket"
+    plain = plain_names(schema.names, p)
+    stored = [StructField(n, f.dataType) for n, f in zip(plain, schema.fields, strict=True)]
+    full = StructType([*stored, StructField(bucket, IntegerType()), StructField(f"{p}place", LongType()), StructField(shard, IntegerType())])
     rows = spark.read.schema(full).parquet(path)
-    before = Window.partitionBy("__shard").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
-    counts = rows.groupBy("__shard", "__bucket").agg(F.count(F.lit(1)).alias("n"))
-    offsets = counts.select("__shard", "__bucket", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("__offset"))
-    placed = rows.join(broadcast_if_small(offsets), ["__shard", "__bucket"])
-    return placed.select(*schema.names, F.col("__shard").alias("shard"), (F.col("__offset") + F.col("__place")).alias("slot"))
+    before = Window.partitionBy(shard).orderBy(bucket).rowsBetween(Window.unboundedPreceding, -1)
+    counts = rows.groupBy(shard, bucket).agg(F.count(F.lit(1)).alias("n"))
+    offsets = counts.select(shard, bucket, F.coalesce(F.sum("n").over(before), F.lit(0)).alias(f"{p}offset"))
+    placed = rows.join(broadcast_if_small(offsets), [shard, bucket])
+    taken, own = {"shard", "slot"}, []
+    for c, n in zip(schema.names, plain, strict=True):
+        name = c
+        while name.lower() in taken or name != c and name in schema.names:
+            name += "_"
+        taken.add(name.lower())
+        own.append(F.col(n).alias(name))
+    return placed.select(*own, F.col(shard).alias("shard"), (F.col(f"{p}offset") + F.col(f"{p}place")).alias("slot"))
 
 
 def shards(docs: DataFrame, n: int = 40, **options) -> DataFrame:

@@ -55,9 +55,14 @@ def unused_prefix(df: DataFrame) -> str:
     return prefix
 
 
+def plain_names(names: list[str], prefix: str) -> list[str]:
+    """names with those that hold a dot or backtick replaced by ones behind the prefix: functions over Arrow take no such columns."""
+    return [f"{prefix}c{i}" if "." in n or "`" in n else n for i, n in enumerate(names)]
+
+
 def whole_row(df: DataFrame, seed: int) -> Column:
     """A 64-bit hash of all columns of df; nulls are told apart by their place."""
-    columns = [F.to_json(f.name) if "map<" in f.dataType.simpleString() else F.col(f"`{f.name}`") for f in df.schema]
+    columns = [F.to_json(F.col(f"`{f.name}`")) if "map<" in f.dataType.simpleString() else F.col(f"`{f.name}`") for f in df.schema]
     return F.xxhash64(F.lit(seed), F.concat(*(F.when(c.isNull(), "1").otherwise("0") for c in columns)), *columns)
 
 
