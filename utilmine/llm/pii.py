@@ -10,14 +10,16 @@ The models are trained on examples that a seeded generator makes: formats of per
 numbers, dates, digests, measures) amid random words. Training depends on no table, so behaviour is alike at every size.
 
 Defined results: a null text is an empty one, without spans; repeated rows get equal results; an empty table gives an empty result. Offsets are code
-points, end exclusive.
+points, end exclusive. The time for a text grows with its length alone (and the logarithm of its spans), unbroken runs of a megabyte included.
 """
 
 from __future__ import annotations
 
 import re
+from bisect import bisect_left, insort
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -74,7 +76,7 @@ def _digits(s: str) -> str:
 def holds(kind: str, s: str) -> bool:
     """The check on a match of a base pattern."""
     if kind == "ip":
-        return all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in s.split("."))
+        return all(len(d := p.lstrip("0")) <= 3 and int(d or "0") <= 255 for p in s.split("."))
     if kind == "card":
         return 16 <= len(d := _digits(s)) <= 19 and luhn(d)
     if kind == "phone":
@@ -82,9 +84,54 @@ def holds(kind: str, s: str) -> bool:
     return True
 
 
+#: Searched behind an @ that has a character of LOCAL before it: a search from the left would read an unbroken run once for each of its starts.
+LOCAL = frozenset("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789._%+-")
+HOST = re.compile(r"[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
+#: A match of the base ip pattern starts where a run of digits does, as a match that fails there fails at every later digit of the run, too.
+IP = re.compile(r"(?<![0-9])[0-9]++(\.[0-9]++)(\.[0-9]++)(\.[0-9]++)")
+
+
+def _emails(text: str) -> Iterator[tuple[int, int]]:
+    """The matches of the base email pattern: each @ is walked from outwards, no further left than the match before."""
+    done = 0
+    at = text.find("@")
+    while at >= 0:
+        if host := HOST.match(text, at + 1):
+            start = at
+            while start > done and text[start - 1] in LOCAL:
+                start -= 1
+            if start < at:
+                done = host.end()
+                yield start, done
+        at = text.find("@", max(done, at + 1))
+
+
+def _matches(kind: str, text: str) -> Iterator[tuple[int, int]]:
+    if kind == "email":
+        return _emails(text)
+    return (m.span() for m in (IP if kind == "ip" else BASE[kind]).finditer(text))
+
+
 def base_spans(text: str) -> list[tuple[str, int, int]]:
     """The base spans by kind, then start."""
-    return [(k, m.start(), m.end()) for k in KINDS if NEEDS[k].search(text) for m in BASE[k].finditer(text) if holds(k, m.group())]
+    return [(k, a, b) for k in KINDS if NEEDS[k].search(text) for a, b in _matches(k, text) if holds(k, text[a:b])]
+
+
+class Taken:
+    """Spans that others must not overlap: fixed ones, which may overlap each other, and added ones, which do not."""
+
+    def __init__(self, spans: list[tuple[str, int, int]]):
+        fixed = sorted((a, b) for _, a, b in spans)
+        self.starts = [a for a, _ in fixed]
+        self.reach = list(accumulate((b for _, b in fixed), max))
+        self.added: list[tuple[int, int]] = []
+
+    def overlaps(self, start: int, end: int) -> bool:
+        i, j = bisect_left(self.starts, end), bisect_left(self.added, (end,))
+        return i > 0 and self.reach[i - 1] > start or j > 0 and self.added[j - 1][1] > start
+
+    def add(self, start: int, end: int) -> None:
+        insort(self.added, (start, end))
 
 
 def features(kind: str, text: str, start: int, end: int) -> list[float]:
@@ -149,10 +196,10 @@ def models() -> dict[str, tuple[Boosted, float]]:
 
 def proposals(text: str, taken: list[tuple[str, int, int]]) -> list[tuple[str, int, int]]:
     """Spans of the loose generators that overlap no span in taken."""
-    out = []
+    out, used = [], Taken(taken)
     for kind in KINDS:
         if LOOSE_NEEDS[kind].search(text):
-            out += [(kind, m.start(), m.end()) for m in LOOSE[kind].finditer(text) if not any(a < m.end() and m.start() < b for _, a, b in taken)]
+            out += [(kind, m.start(), m.end()) for m in LOOSE[kind].finditer(text) if not used.overlaps(*m.span())]
     return out
 
 
@@ -173,9 +220,10 @@ def all_spans(texts: list[str], trained: dict[str, tuple[Boosted, float]]) -> li
                     added[i].append((-value, kind, a, b))
     out = []
     for found, more in zip(base, added, strict=True):
-        chosen = list(found)
+        chosen, used = list(found), Taken(found)
         for _, kind, a, b in sorted(more):
-            if not any(x < b and a < y for _, x, y in chosen):
+            if not used.overlaps(a, b):
+                used.add(a, b)
                 chosen.append((kind, a, b))
         out.append((found, sorted(chosen, key=lambda s: (KINDS.index(s[0]), s[1], s[2]))))
     return out
