@@ -17,7 +17,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from utilmine.llm import tokens
@@ -29,7 +29,9 @@ TABLE_BITS = {1: 8, 2: 12, 3: 13, 4: 13}
 SAMPLE, LANDMARKS = 300, 60
 RIDGE, SHARPNESS = 1e-2, 4.0
 UNKNOWN = "und"
-BLOCK = 1 << 18
+#: Bytes and texts of a block, whose matrices take about 84 kB a text; bytes of a text that a fit reads.
+BLOCK, BLOCK_TEXTS = 1 << 18, 256
+MOST_BYTES = 1 << 20
 
 _FOLD = np.arange(256, dtype=np.uint64)
 _FOLD[65:91] += 32
@@ -69,7 +71,7 @@ def fit(texts: list[str], langs: list[str], landmarks: int = LANDMARKS, ridge: f
     languages = sorted(set(langs))
     if not languages:
         return None
-    parts = [presence(b) for b in tokens.blocks(pa.array(texts, pa.string()), BLOCK)]
+    parts = [presence(b) for b in tokens.blocks(pa.array(texts, pa.large_string()), BLOCK, BLOCK_TEXTS)]
     x = [np.concatenate(p) for p in zip(*parts, strict=True)]
     lang = np.array([languages.index(v) for v in langs])
     chosen = np.concatenate([np.flatnonzero(lang == i)[:landmarks] for i in range(len(languages))])
@@ -88,22 +90,23 @@ def fit(texts: list[str], langs: list[str], landmarks: int = LANDMARKS, ridge: f
     return Model(languages, [(scale * m[chosen].T @ alpha).astype(np.float32) for m in x], beta[-1])
 
 
-def learnable_sample(docs: DataFrame, most: int) -> tuple[list[str], list[str]]:
-    """About `most` documents of each language (at most twice as many), drawn by a hash of doc_id from those that may be learned from."""
-    may = docs.where("doc_id is not null and lang is not null and text is not null and not held_out")
-    counts = {r["lang"]: r["n"] for r in may.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
-    draw = F.pmod(F.xxhash64(F.lit(5), "doc_id"), F.lit(1 << 30))
+def learnable_sample(docs: DataFrame, most: int, most_bytes: int = MOST_BYTES) -> tuple[list[str], list[str]]:
+    """About `most` different texts of each language (at most twice as many), the least by a hash of language and text among those that may be learned from.
+
+    Texts over most_bytes are not learned from (they are scored like all). Equal texts of a language are one, so no number of copies or repeated ids
+    reaches the driver; what does is bounded by 2 * most * most_bytes a language.
+    """
+    may = docs.where("doc_id is not null and lang is not null and text is not null and not held_out").where(F.octet_length("text") <= most_bytes)
+    may = may.select("lang", "text", F.xxhash64(F.lit(5), "lang", "text").alias("draw"))
+    counts = {r["lang"]: r["n"] for r in may.groupBy("lang").agg(F.approx_count_distinct("draw").alias("n")).collect()}
     few = F.lit(False)
     for lang, n in counts.items():
-        few = few | ((F.col("lang") == lang) & (draw < int(min(1.0, 1.5 * most / n) * (1 << 30)) + 1))
-    rows = sorted(may.where(few).select(draw.alias("draw"), "doc_id", "lang", "text").collect(), key=lambda r: (r[0], r[1])) if counts else []
-    seen: dict[str, int] = {}
-    kept = []
-    for r in rows:
-        seen[r["lang"]] = seen.get(r["lang"], 0) + 1
-        if seen[r["lang"]] <= 2 * most:
-            kept.append(r)
-    return [r["text"] for r in kept], [r["lang"] for r in kept]
+        few = few | ((F.col("lang") == lang) & (F.shiftrightunsigned("draw", 34) < int(min(1.0, 1.5 * most / n) * (1 << 30)) + 1))
+    drawn = may.where(few).groupBy("lang", "draw").agg(F.min("text").alias("text"))
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("draw"))  # over about 1.5 * most rows of a language
+    rows = drawn.withColumn("place", place).where(F.col("place") <= 2 * most).select("lang", "draw", "text").collect() if counts else []
+    rows = sorted(rows, key=lambda r: (r["draw"], r["lang"]))
+    return [r["text"] for r in rows], [r["lang"] for r in rows]
 
 
 def _has_letter(block: Block) -> np.ndarray:
@@ -118,7 +121,7 @@ def _predictor(model: Model | None):
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             names, scores = [], []
-            for block in tokens.blocks(batch.column(2), BLOCK):
+            for block in tokens.blocks(batch.column(2), BLOCK, BLOCK_TEXTS):
                 found = _has_letter(block) & (model is not None)
                 values = model.decide(block) if model else np.zeros((len(block), 1))
                 e = np.exp(SHARPNESS * (values - values.max(1, keepdims=True)))

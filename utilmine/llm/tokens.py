@@ -110,8 +110,8 @@ class Block:
         return span_hashes(prefix(hashes, WORD_POWERS), starts, starts + width, WORD_POWERS), owner
 
 
-def blocks(column: pa.Array, most: int = BLOCK_BYTES) -> Iterator[Block]:
-    """Consecutive blocks of a string column; a null is an empty text."""
+def blocks(column: pa.Array, most: int = BLOCK_BYTES, most_texts: int | None = None) -> Iterator[Block]:
+    """Consecutive blocks of a string column, of up to `most` bytes (or one text) and most_texts texts; a null is an empty text."""
     if isinstance(column, pa.ChunkedArray):
         column = column.combine_chunks()
     if column.null_count:
@@ -126,5 +126,6 @@ def blocks(column: pa.Array, most: int = BLOCK_BYTES) -> Iterator[Block]:
     first = 0
     while first < n:
         last = max(first + 1, int(np.searchsorted(offsets, offsets[first] + most, "right")) - 1)
+        last = min(last, first + (most_texts or n))
         yield Block(first, last, data[offsets[first] : offsets[last]], offsets[first : last + 1] - offsets[first])
         first = last
