@@ -110,10 +110,11 @@ def _taken(rows: DataFrame, cut: DataFrame, prefix: str) -> DataFrame:
         return simple
     parted = F.coalesce(at & (col("cut_extra") < col("cut_equal")), F.lit(False))
     names = joined.columns
-    one = joined.where(parted).groupBy(f"{prefix}source").agg(F.first(F.struct(*(F.col(f"`{c}`") for c in names))).alias("row")).select("row")
-    pieces = one.withColumn("piece", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col(f"row.{prefix}cut_equal") - 1) / PIECE)))).repartition("row." + prefix + "source", "piece")
-    number = F.explode(F.sequence(F.col("piece") * PIECE, F.least((F.col("piece") + 1) * PIECE, F.col(f"row.{prefix}cut_equal")) - 1))
-    again = pieces.select("row.*", number.alias(f"{prefix}number"))
+    # a row for each source at most; written, as the optimizer loses fields of a struct between a generator and an exchange
+    one = written(joined.where(parted).groupBy(f"{prefix}source").agg(F.first(F.struct(*(F.col(f"`{c}`") for c in names))).alias("row")).select("row.*"))
+    pieces = one.withColumn(f"{prefix}piece", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((col("cut_equal") - 1) / PIECE)))).repartition(f"{prefix}source", f"{prefix}piece")
+    number = F.explode(F.sequence(col("piece") * PIECE, F.least((col("piece") + 1) * PIECE, col("cut_equal")) - 1))
+    again = pieces.select(*(F.col(f"`{c}`") for c in names), number.alias(f"{prefix}number"))
     again = again.withColumn(f"{prefix}copies", col("cut_passes") + (col("number") < col("cut_extra")).cast("int")).drop(f"{prefix}number")
     return simple.where(~parted).unionByName(again)
 
