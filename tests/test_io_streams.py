@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 from utilmine import sqlapi
 from utilmine.operators import post
 from utilmine.operators.mine import mine
-from utilmine.sources import tables, workloads
+from utilmine.sources import baskets, tables, workloads
 from utilmine.streaming import windows
 
 
@@ -20,6 +20,14 @@ def test_text_round_trip(spark, tmp_path):
     assert sorted(r[0] for r in spark.read.text(str(tmp_path / "text")).collect()) == sorted(f"{r['key'].replace(',', ' ')} #UTIL: {r['utility']}" for r in found.collect())
 
 
+def test_repeated_lines_of_other_prices(spark):
+    rows = spark.createDataFrame([(1, "x", 2, 10), (1, "x", 3, 4), (1, "y", 1, 7), (2, "x", 1, 10), (2, None, 1, 1), (None, "x", 1, 1), (2, "y", 0, 5)], "t long, i string, q long, p long")
+    lines = baskets.from_lines(rows, "t", "i", "q", "p")
+    assert sorted((r["tid"], r["item"], r["qty"], r["pr"], r["u"]) for r in lines.collect()) == [(1, "x", 5, 4, 32), (1, "y", 1, 7, 7), (2, "x", 1, 10, 10)]
+    parents = spark.createDataFrame([("x", "z"), ("y", "z")], "item string, parent string")
+    assert sorted(map(tuple, baskets.mapped(lines, parents).collect())) == [(1, "z", 6, 39), (2, "z", 1, 10)]
+
+
 def test_sql_table_function(spark):
     lines, mu = workloads.toy(spark), workloads.toy_thresholds(spark)
     sqlapi.register(spark, lines, mu, mine(lines, mu))

@@ -278,7 +278,7 @@ def _(s, d):
     return B.enumerated_huis(brand(s, d), brand_mu(s, d)).select(*PATTERN)
 
 
-@query("naive_closure_toy", f"{O.lattice('toy', mu=O._TOY_MU)} select key, k, utility, miu, support from sets where utility >= miu and key not in ('b,c,d,e')")
+@query("naive_closure_toy", f"{O.lattice('toy', mu=O._TOY_MU)} {O.CLOSED_HUI}")
 def _(s, d):
     return B.naive_closure(workloads.toy(s), workloads.toy_thresholds(s)).select(*PATTERN)
 

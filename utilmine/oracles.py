@@ -55,6 +55,9 @@ sets as materialized (select key, k, sum(u)::bigint as utility, min(miu) as miu,
 
 
 HUI = "select key, k, utility, miu, support from sets where utility >= miu"
+#: Those that are left if a set goes as soon as one of its subsets misses its own threshold by weight.
+CLOSED_HUI = """select key, k, utility, miu, support from sets s where utility >= miu
+and not exists (select 1 from sets p where p.twu < p.miu and list_has_all(string_split(s.key, ','), string_split(p.key, ',')))"""
 HTWUI = "select key, twu, miu from sets where twu >= miu"
 
 

@@ -11,7 +11,7 @@ def _col(c: Column | str) -> Column:
 
 
 def from_lines(df: DataFrame, tid: Column | str, item: Column | str, qty: Column | str | None = None, pr: Column | str | None = None, utility: Column | str | None = None, ts: Column | str | None = None, cust: Column | str | None = None, on_negative: str = "error") -> DataFrame:
-    """Repeated (tid, item) rows are one line with summed quantity. u = qty * pr, or a ready-made utility.
+    """Repeated (tid, item) rows are one line with summed quantity and the least pr. u is the sum of qty * pr over its rows, or of a ready-made utility.
 
     Lines without a basket, an item or a positive quantity are dropped (see dropped()). Utilities are BIGINT in a declared unit; a
     negative one is an error, or with on_negative="drop" a dropped line, as every bound adds utilities that are not negative.
@@ -21,11 +21,9 @@ def from_lines(df: DataFrame, tid: Column | str, item: Column | str, qty: Column
     rows = rows.where("tid is not null and item is not null and qty > 0")
     sums = [F.sum("qty").alias("qty")]
     sums += [F.min("pr").alias("pr")] if pr is not None else []
-    sums += [F.sum("u").alias("u")] if utility is not None else []
+    sums += [F.sum("u" if utility is not None else F.col("qty") * F.col("pr")).alias("u")] if utility is not None or pr is not None else []
     sums += [F.min(c).alias(c) for c in ("ts", "cust") if c in rows.columns]
     merged = rows.groupBy("tid", "item").agg(*sums)
-    if utility is None and pr is not None:
-        merged = merged.withColumn("u", F.col("qty") * F.col("pr"))
     if "u" in merged.columns:
         if on_negative == "drop":
             merged = merged.where("u >= 0")
