@@ -11,15 +11,19 @@ from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """A new folder below spark.checkpoint.dir, the storage that the cluster shares; without one (in tests), a temporary folder."""
+    """A new folder below spark.checkpoint.dir, the storage that the cluster shares, or the checkpoint folder set on the context. Without either, local
+    sessions get a temporary folder; on a cluster that would lose rows and is an error."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        current = spark.sparkContext._jsc.sc().getCheckpointDir()
+        context = spark.sparkContext
+        current = context._jsc.sc().getCheckpointDir()
         if current.isDefined():
             root = current.get()
-        else:
+        elif context.master.startswith("local") and not context.master.startswith("local-cluster"):
             root = tempfile.mkdtemp(prefix="spark-shared-")
-            spark.sparkContext.setCheckpointDir(root)
+            context.setCheckpointDir(root)
+        else:
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return f"{root.rstrip('/')}/{uuid.uuid4().hex}"
 
 
