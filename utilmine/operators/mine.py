@@ -81,9 +81,10 @@ class Miner:
         sized = roots.join(weights, F.col("rank") == F.col("root"))
         before = F.sum("weight").over(Window.orderBy("weight", "rank").rowsBetween(Window.unboundedPreceding, -1))
         waves = cached(sized.select("rank", F.floor(F.coalesce(before, F.lit(0)) / wave_budget).alias("wave")))
-        out = None
+        mean = self.enc.agg(F.avg(F.size("its"))).first()[0] or 0
+        carry, out = "rejoin" if mean > planner.LONG_BASKETS else o.carry, None
         for (w,) in sorted(waves.select("wave").distinct().collect()):
-            own = Options(**{**o.__dict__, "roots": waves.where(F.col("wave") == w).select("rank")})
+            own = Options(**{**o.__dict__, "carry": carry, "roots": waves.where(F.col("wave") == w).select("rank")})
             found = Frontier(self.enc, self.dictionary, own).run()
             out = found if out is None else out.unionByName(found)
         return out

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from utilmine.plans import lists
-from utilmine.plans.cut import broadcast_if, cached, written
+from utilmine.plans.cut import MOST_ROWS, broadcast_if, broadcast_if_small, cached, written
 from utilmine.plans.encode import Dictionary
 
 VARIANTS = ("base", "pair", "look", "both")
@@ -70,6 +70,7 @@ class Frontier:
         elif options.pair:
             self.pairs = cached(lists.pair_table(enc, dictionary.lmu or 0))
         self.n_pairs = self.pairs.count() if options.pair else 0
+        self.late = False  # whether children are cut after their sums are made
 
     # candidate rows: node, mu1, iu, ru, bound, tu, tid, tail
 
@@ -77,7 +78,7 @@ class Frontier:
         mu = broadcast_if(self.dictionary.items.select(F.col("rank").alias("r"), F.col("mu").alias("mu1")), self.dictionary.n)
         rows = self.enc.select("tid", "tu", F.posexplode("its").alias("p", "x"), "its").withColumn("r", F.col("x.r")).join(mu, "r")
         if self.options.roots is not None:
-            rows = rows.join(F.broadcast(self.options.roots.select(F.col("rank").alias("r"))), "r", "left_semi")
+            rows = rows.join(broadcast_if_small(self.options.roots.select(F.col("rank").alias("r"))), "r", "left_semi")
         tail = F.slice("its", F.col("p") + 2, F.size("its"))
         return self._row(rows, F.array("r"), F.col("x.u"), F.col("x.ru"), F.lit(0).cast("long"), tail)
 
@@ -87,24 +88,49 @@ class Frontier:
         columns += ["tu"] if o.global_at_nodes else []
         return rows.select(*columns, *(["tid"] if o.carry == "rejoin" else [tail.alias("tail")]))
 
-    def children(self, rows: DataFrame, nodes: DataFrame, expanding: int) -> DataFrame:
-        """Candidate rows of the level below: tails of expanding nodes, cut to the items that are allowed."""
+    def children(self, rows: DataFrame, nodes: DataFrame, level: int, total: int, expanding: int) -> DataFrame:
+        """Candidate rows of the level below: tails of expanding nodes, one row for each item.
+
+        Items that may not follow go here if what tells them is small enough to broadcast, else after the sums are made, by one join of itemsets
+        (not of their rows). So no node holds an array of its siblings.
+        """
         o = self.options
-        live = broadcast_if(nodes.where("expand").select("node", "allowed"), expanding)
-        rows = rows.join(live, "node")
+        rows = rows.join(broadcast_if(nodes.where("expand").select("node"), expanding), "node")
         if o.carry == "rejoin":
             last = F.element_at("node", -1)
             rows = rows.join(self.enc.select("tid", "its"), "tid").withColumn("tail", F.filter("its", lambda x: x["r"] > last)).drop("its")
-        allowed = F.filter("tail", lambda x: F.col("allowed").isNull() | F.array_contains(F.col("allowed"), x["r"]))
-        rows = rows.withColumn("tail", allowed).where(F.size("tail") > 0)
-        rows = rows.select("*", F.posexplode("tail").alias("p", "x"))
-        return self._row(rows, F.concat("node", F.array("x.r")), F.col("iu") + F.col("x.u"), F.col("x.ru"), F.col("iu") + F.col("ru"), F.slice("tail", F.col("p") + 2, F.size("tail")))
+        rows = rows.where(F.size("tail") > 0).select("*", F.posexplode("tail").alias("p", "x"))
+        below = self._row(rows, F.concat("node", F.array("x.r")), F.col("iu") + F.col("x.u"), F.col("x.ru"), F.col("iu") + F.col("ru"), F.slice("tail", F.col("p") + 2, F.size("tail")))
+        self.late = max(total, self.n_pairs) > MOST_ROWS
+        return below if self.late else self.beside(self.paired(below, level), nodes, level, total)
+
+    def beside(self, below: DataFrame, nodes: DataFrame, level: int, total: int) -> DataFrame:
+        """Children whose last item stays beside their prefix. base needs no cut: every later sibling with a basket in common stays."""
+        if level == 1 or self.options.variant == "base":
+            return below
+        sibling = F.concat(F.slice("node", 1, level - 1), F.array(F.element_at("node", -1)))
+        return below.join(broadcast_if(nodes.select(F.col("node").alias("sibling")), total), sibling == F.col("sibling"), "left_semi")
+
+    def paired(self, below: DataFrame, level: int) -> DataFrame:
+        """Children whose last two items weigh enough together."""
+        if not self.options.pair or self.long is not None and level == 1:
+            return below
+        a, b = F.element_at("node", -2), F.element_at("node", -1)
+        pairs = broadcast_if(self.pairs.select(F.col("a").alias("pair_a"), F.col("b").alias("pair_b"), F.col("twu").alias("pair_twu")), self.n_pairs)
+        on = (a == F.col("pair_a")) & (b == F.col("pair_b"))
+        if self.long is None:
+            return below.join(pairs, on & (F.col("pair_twu") >= F.col("mu1")), "left_semi")
+        one, two = (broadcast_if(self.long.select(F.col("r").alias(f"r_{c}"), F.col("twu").alias(f"long_{c}")), self.dictionary.n) for c in "ab")
+        bound = F.coalesce("pair_twu", F.lit(0)) + F.least(F.coalesce("long_a", F.lit(0)), F.coalesce("long_b", F.lit(0)))
+        return below.join(pairs, on, "left").join(one, a == F.col("r_a"), "left").join(two, b == F.col("r_b"), "left").where(bound >= F.col("mu1")).select(*below.columns)
 
     def scored(self, rows: DataFrame, level: int, above: DataFrame | None) -> DataFrame:
         """One aggregate: node, mu1, iu, ru, support, residue, twu and whether the node stays."""
         o = self.options
         sums = [F.sum("iu").alias("iu"), F.sum("ru").alias("ru"), F.count(F.lit(1)).alias("support"), F.sum("bound").alias("residue")]
         nodes = rows.groupBy("node", "mu1").agg(*sums, *([F.sum("tu").alias("twu")] if o.global_at_nodes else []))
+        if self.late and level > 1:
+            nodes = self.beside(self.paired(nodes, level - 1), above, level - 1, MOST_ROWS + 1)
         stays = F.lit(True)
         if o.look and level > 1 and o.measure == "utility":
             if o.seed == "prefix":
@@ -114,61 +140,50 @@ class Frontier:
             stays = stays & (F.col("twu") >= F.lit(self.dictionary.lmu))
         return nodes.withColumn("stays", stays)
 
-    def flagged(self, nodes: DataFrame, level: int, want_joins: bool) -> DataFrame:
-        """Staying nodes with hui, expand, allowed (null: all later items) and joins (later siblings that an expanding node is joined with)."""
-        o = self.options
-        gain = F.col("support") if o.measure == "support" else F.col("iu")
-        most = F.col("support") if o.measure == "support" else F.col("iu") + F.col("ru")
-        nodes = nodes.withColumns({"hui": gain >= F.col("mu1"), "expand": most >= F.col("mu1")})
+    def flagged(self, nodes: DataFrame) -> DataFrame:
+        """Staying nodes with hui and expand."""
+        measured = self.options.measure == "support"
+        gain, most = (F.col("support"), F.col("support")) if measured else (F.col("iu"), F.col("iu") + F.col("ru"))
+        return nodes.withColumns({"hui": gain >= F.col("mu1"), "expand": most >= F.col("mu1")})
+
+    def joins(self, nodes: DataFrame, level: int) -> int:
+        """Later siblings that expanding nodes are joined with: a counter, not needed by the search."""
         last = F.element_at("node", -1)
-        none = F.lit(None).cast("array<int>")
-        if level == 1:
-            if o.pair and not o.pair_cap:
-                mates = nodes.where("expand").select(last.alias("a"), "mu1").join(self.pairs, "a").where("twu >= mu1").groupBy("a").agg(F.collect_list("b").alias("allowed"))
-                nodes = nodes.withColumn("a", last).join(mates, "a", "left").withColumn("allowed", F.coalesce("allowed", F.array().cast("array<int>"))).drop("a")
-                return nodes.withColumn("joins", F.when(F.col("expand"), F.size("allowed")).otherwise(0).cast("long"))
-            return nodes.withColumns({"allowed": none, "joins": F.when(F.col("expand"), self.dictionary.n - last).otherwise(0).cast("long")})
-        siblings = Window.partitionBy(F.slice("node", 1, level - 1)).orderBy(last.desc()).rowsBetween(Window.unboundedPreceding, -1)
-        if o.variant == "base":
-            # every later sibling with a basket in common stays, so tails need no cut
-            return nodes.withColumns({"allowed": none, "joins": F.when(F.col("expand"), F.count(F.lit(1)).over(siblings)).otherwise(0) if want_joins else F.lit(0).cast("long")})
-        nodes = nodes.withColumn("allowed", F.collect_list(last).over(siblings))
-        if o.pair:
-            nodes = self._pair_cut(nodes)
-        return nodes.withColumn("joins", F.when(F.col("expand"), F.size("allowed")).otherwise(0).cast("long"))
-
-    def _pair_cut(self, nodes: DataFrame) -> DataFrame:
-        asked = nodes.where("expand").select("node", "mu1", F.element_at("node", -1).alias("a"), F.explode("allowed").alias("b"))
-        pairs = broadcast_if(self.pairs, self.n_pairs)
-        if self.long is None:
-            met = asked.join(pairs, ["a", "b"]).where("twu >= mu1")
+        if level == 1 and (not self.options.pair or self.long is not None):
+            made = nodes.where("expand").agg(F.sum((self.dictionary.n - last).cast("long")))
+        elif level == 1:
+            made = nodes.where("expand").select(last.alias("a"), "mu1").join(self.pairs, "a").where("twu >= mu1").agg(F.count(F.lit(1)))
+        elif not self.options.pair:
+            siblings = Window.partitionBy(F.slice("node", 1, level - 1)).orderBy(last.desc()).rowsBetween(Window.unboundedPreceding, -1)
+            made = nodes.withColumn("later", F.count(F.lit(1)).over(siblings)).where("expand").agg(F.sum("later"))
         else:
-            one, two = (broadcast_if(self.long.select(F.col("r").alias(c), F.col("twu").alias(f"long_{c}")), self.dictionary.n) for c in "ab")
-            bound = F.coalesce("twu", F.lit(0)) + F.least(F.coalesce("long_a", F.lit(0)), F.coalesce("long_b", F.lit(0)))
-            met = asked.join(pairs, ["a", "b"], "left").join(one, "a", "left").join(two, "b", "left").where(bound >= F.col("mu1"))
-        kept = met.groupBy("node").agg(F.collect_list("b").alias("kept"))
-        return nodes.join(kept, "node", "left").withColumn("allowed", F.coalesce("kept", F.array().cast("array<int>"))).drop("kept")
+            prefix = F.slice("node", 1, level - 1)
+            one, two = nodes.where("expand").select("node", "mu1", prefix.alias("p")), nodes.select(prefix.alias("q"), last.alias("y"))
+            both = one.join(two, (F.col("p") == F.col("q")) & (last < F.col("y"))).select(F.concat("node", F.array("y")).alias("node"), "mu1")
+            made = self.paired(both, level).agg(F.count(F.lit(1)))
+        return made.first()[0] or 0
 
     def run(self, want_stats: bool = False) -> DataFrame:
-        """node, mu1, iu, support of the itemsets found. One driver action for each level: four numbers."""
+        """node, mu1, iu, support of the itemsets found. One driver action for each level: two numbers (and counters if asked for)."""
         o, found, level = self.options, [], 1
         rows, above = written(self.first()), None
         while True:
             scored = self.scored(rows, level, above)
             children = F.count(F.lit(1)) if level > 1 else F.lit(0)
             before = scored.agg(children).first()[0] if want_stats and level > 1 else 0
-            nodes = self.flagged(scored.where("stays"), level, want_stats)
+            nodes = self.flagged(scored.where("stays"))
             if o.seed == "prefix":
                 # the residue of a child starts from its prefix's totals: add the prefix's less the extended itemset's
                 nodes = self._slack(nodes, above)
             nodes = written(nodes)
-            total, expanding, joins = nodes.agg(F.count(F.lit(1)), F.count(F.when(F.col("expand") & (F.col("allowed").isNull() | (F.size("allowed") > 0)), 1)), F.sum("joins")).first()
+            total, expanding = nodes.agg(F.count(F.lit(1)), F.count(F.when(F.col("expand"), 1))).first()
             tried = self.stats.levels[-1]["joins"] if self.stats.levels else 0
-            self.stats.levels.append({"level": level, "nodes": total, "joins": joins or 0, "aborted": before - total if want_stats and level > 1 else 0, "empty": tried - before if want_stats and level > 1 else 0, "expanding": expanding})
+            deeper = want_stats and level > 1
+            self.stats.levels.append({"level": level, "nodes": total, "joins": self.joins(nodes, level) if want_stats else 0, "aborted": before - total if deeper else 0, "empty": tried - before if deeper else 0, "expanding": expanding})
             found.append(nodes.where("hui").select("node", "mu1", "iu", "support"))
             if not expanding or level == o.max_len:
                 break
-            rows = written(self.children(rows, nodes, expanding))
+            rows = written(self.children(rows, nodes, level, total, expanding))
             above, level = nodes, level + 1
         out = found[0]
         for more in found[1:]:
@@ -192,13 +207,15 @@ class ListJoin(Frontier):
         columns = ["tid", node.alias("node"), "mu1", iu.alias("iu"), ru.alias("ru"), bound.alias("bound"), F.lit(0).cast("long").alias("piu")]
         return rows.select(*columns, *(["tu"] if self.options.global_at_nodes else []))
 
-    def children(self, rows: DataFrame, nodes: DataFrame, expanding: int) -> DataFrame:
+    def children(self, rows: DataFrame, nodes: DataFrame, level: int, total: int, expanding: int) -> DataFrame:
         prefix, last = F.slice("node", 1, F.size("node") - 1), F.element_at("node", -1)
-        live = rows.join(broadcast_if(nodes.where("expand").select("node", "allowed"), expanding), "node").select("tid", prefix.alias("prefix"), last.alias("x"), "mu1", "iu", "ru", "piu", "allowed", *(["tu"] if self.options.global_at_nodes else []))
+        live = rows.join(broadcast_if(nodes.where("expand").select("node"), expanding), "node").select("tid", prefix.alias("prefix"), last.alias("x"), "mu1", "iu", "ru", "piu", *(["tu"] if self.options.global_at_nodes else []))
         # the later sibling stays if it is among the staying nodes; root slices do not limit it
-        other = (self._all_items() if self.options.roots is not None and len(self.stats.levels) == 1 else rows.join(nodes.select("node"), "node", "left_semi")).select(F.col("tid").alias("t"), prefix.alias("q"), last.alias("y"), F.col("iu").alias("yu"), F.col("ru").alias("yr"))
-        joined = live.join(other, (F.col("tid") == F.col("t")) & (F.col("prefix") == F.col("q")) & (F.col("x") < F.col("y")) & (F.col("allowed").isNull() | F.array_contains("allowed", F.col("y"))))
-        return joined.select("tid", F.concat("prefix", F.array("x", "y")).alias("node"), "mu1", (F.col("iu") + F.col("yu") - F.col("piu")).alias("iu"), F.col("yr").alias("ru"), (F.col("iu") + F.col("ru")).alias("bound"), F.col("iu").alias("piu"), *(["tu"] if self.options.global_at_nodes else []))
+        other = (self._all_items() if self.options.roots is not None and level == 1 else rows.join(nodes.select("node"), "node", "left_semi")).select(F.col("tid").alias("t"), prefix.alias("q"), last.alias("y"), F.col("iu").alias("yu"), F.col("ru").alias("yr"))
+        joined = live.join(other, (F.col("tid") == F.col("t")) & (F.col("prefix") == F.col("q")) & (F.col("x") < F.col("y")))
+        below = joined.select("tid", F.concat("prefix", F.array("x", "y")).alias("node"), "mu1", (F.col("iu") + F.col("yu") - F.col("piu")).alias("iu"), F.col("yr").alias("ru"), (F.col("iu") + F.col("ru")).alias("bound"), F.col("iu").alias("piu"), *(["tu"] if self.options.global_at_nodes else []))
+        self.late = self.n_pairs > MOST_ROWS
+        return below if self.late else self.paired(below, level)
 
     def _all_items(self) -> DataFrame:
         return lists.item_lists(self.enc)

@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from utilmine.operators.search import RESULT, Options
-from utilmine.plans.cut import broadcast_if
+from utilmine.plans.cut import broadcast_if, broadcast_if_small
 from utilmine.plans.encode import Dictionary
 
 CHUNK = 1 << 18
@@ -142,7 +142,7 @@ def projected(enc: DataFrame, dictionary: Dictionary, roots: DataFrame | None =
     mu = broadcast_if(dictionary.items.select(F.col("rank").alias("root"), F.col("mu").alias("mu1")), dictionary.n)
     rows = enc.select(F.posexplode("its").alias("p", "x"), "its")
     rows = rows.select(F.col("x.r").alias("root"), F.slice("its", F.col("p") + 1, F.size("its")).alias("tail")).join(mu, "root")
-    return rows.join(F.broadcast(roots.select(F.col("rank").alias("root"))), "root", "left_semi") if roots is not None else rows
+    return rows.join(broadcast_if_small(roots.select(F.col("rank").alias("root"))), "root", "left_semi") if roots is not None else rows
 
 
 def mine_subtrees(rows: DataFrame, options: Options, group: Column, pairs: DataFrame | None, width: int, most_pairs: int = 4_000_000) -> DataFrame:

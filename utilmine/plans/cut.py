@@ -37,11 +37,15 @@ def cached(df: DataFrame) -> DataFrame:
     return df.persist(StorageLevel.MEMORY_AND_DISK)
 
 
-def broadcast_if(df: DataFrame, rows: int, most: int = 200_000) -> DataFrame:
+#: Rows of the largest table that is broadcast. Its rows are of bounded size: ranks, thresholds, sums and itemsets, never arrays that grow with the data.
+MOST_ROWS = 200_000
+
+
+def broadcast_if(df: DataFrame, rows: int, most: int = MOST_ROWS) -> DataFrame:
     """df with a broadcast hint if the known number of its rows is at most `most`."""
     return F.broadcast(df) if rows <= most else df
 
 
-def broadcast_if_small(df: DataFrame, most: int = 200_000) -> DataFrame:
+def broadcast_if_small(df: DataFrame, most: int = MOST_ROWS) -> DataFrame:
     """The same for a number of rows that a bounded count has to find."""
     return broadcast_if(df, df.limit(most + 1).count(), most)
