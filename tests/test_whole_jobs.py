@@ -52,7 +52,7 @@ def test_doc_tokens_reads_whole_texts(spark, texts):
 
 
 def test_characteristics_of_whole_texts(spark, sf):
-    own = next(r for r in catalog.QUERIES["dataset_characteristics_whole"](spark, sf).collect() if r["name"] == "doc_tokens")
+    own = next(r for r in catalog.QUERIES["dataset_characteristics"](spark, sf).collect() if r["name"] == "doc_tokens")
     found = counted((r["doc_id"], r["text"]) for r in spark.read.parquet(f"{sf}/documents.parquet").collect())
     assert (own["baskets"], own["items"], own["max_length"]) == (len(found), len({t for c in found for t in c}), max(map(len, found)))
     assert own["mean_length"] == pytest.approx(sum(map(len, found)) / len(found))
@@ -107,7 +107,7 @@ def test_stream_windows_to_full_depth(spark, tmp_path):
 def test_pruning_grids_are_whole(spark, sf, monkeypatch):
     monkeypatch.setattr(catalog.stats, "pruning_counts", lambda lines, grid: grid)
     for name, grid in (("glmu", catalog.GRID_GLMU), ("beta", catalog.GRID_BETA)):
-        assert catalog.QUERIES[f"pruning_counts_by_{name}_grid"](spark, sf) == grid and len(grid) > 1
+        assert catalog.QUERIES[f"pruning_counts_by_{name}"](spark, sf) == grid and len(grid) == 5
 
 
 def test_runtime_query_has_the_baselines(spark, sf, monkeypatch):

@@ -22,7 +22,8 @@ from utilmine.streaming import windows
 
 Query = Callable[[SparkSession, str], DataFrame]
 GLMU, BETA = 40_000, 10_000
-GRID_GLMU, GRID_BETA = [(40_000, 10_000), (60_000, 10_000)], [(40_000, 5_000), (40_000, 20_000)]
+GRID_GLMU = [(g, 10_000) for g in (40_000, 50_000, 60_000, 80_000, 100_000)]
+GRID_BETA = [(40_000, b) for b in (5_000, 8_000, 10_000, 15_000, 20_000)]
 PATTERN = ("key", "k", "utility", "miu", "support")
 LONGEST = 13
 
@@ -247,7 +248,7 @@ def _(s, d):
 def _workload(name: str, workload: str, glmu: int, beta: int, max_len: int | None = None, engine: str = "hybrid", with_sql: bool = True) -> None:
     @query(name, O.huis(workload, glmu, beta, max_len) if with_sql else None)
     def _(s, d):
-        lines = (workloads.WITH_SQL if with_sql else workloads.ALL)[workload](s, d)
+        lines = workloads.ALL[workload](s, d)
         return Miner(lines, T.from_profit(baskets.profit_of(lines), beta, glmu)).search(engine, max_len=max_len)[0].select(*PATTERN)
 
 
@@ -256,7 +257,6 @@ _workload("hui_customer_year_part_k3", "customer_year_part", 5000, 200, 3)
 _workload("hui_order_record", "order_record", 20_000, 1000)
 _workload("hui_customer_year_supplier_k3", "customer_year_supplier", 20_000, 5000, 3)
 _workload("hui_user_day", "user_day_key", 20_000, 5000)
-_workload("hui_doc_tokens_k2", "doc_tokens", 100, 30, 2)
 _workload("hui_doc_tokens_whole_k2", "doc_tokens", 100, 30, 2, with_sql=False)
 _workload("hui_customer_year_part", "customer_year_part", 5000, 200, with_sql=False)
 _workload("hui_customer_year_supplier", "customer_year_supplier", 20_000, 5000, with_sql=False)
@@ -341,20 +341,13 @@ def _visits_sql(grid: list[tuple[int, int]]) -> str:
     return " union all ".join(parts)
 
 
-for _name, _grid in (("pruning_counts_by_glmu", GRID_GLMU[:1]), ("pruning_counts_by_beta", GRID_BETA[1:])):
+for _name, _grid in (("pruning_counts_by_glmu", GRID_GLMU), ("pruning_counts_by_beta", GRID_BETA)):
 
     @query(_name, _visits_sql(_grid))
     def _(s, d, grid=_grid):
         return stats.pruning_counts(brand(s, d), grid)
 
 
-for _name, _grid in (("pruning_counts_by_glmu_grid", GRID_GLMU), ("pruning_counts_by_beta_grid", GRID_BETA)):
-
-    @query(_name)
-    def _(s, d, grid=_grid):
-        return stats.pruning_counts(brand(s, d), grid)
-
-
 _JOINS = " union all ".join(f"select '{v}' as variant, n as joins from j_{v}" for v in O.ALL_VARIANTS)
 
 
@@ -365,17 +358,8 @@ def _(s, d):
 
 @query("dataset_characteristics", " union all ".join(f"(with lines as ({O.lines(w)}), n as (select tid, count(*) as n from lines group by tid) select '{w}' as name, (select count(*) from n) as baskets, (select count(distinct item) from lines) as items, (select avg(n) from n) as mean_length, (select max(n) from n) as max_length)" for w in workloads.ALL))
 def _(s, d):
-    return _characteristics(s, d, workloads.WITH_SQL)
-
-
-@query("dataset_characteristics_whole")
-def _(s, d):
-    return _characteristics(s, d, workloads.ALL)
-
-
-def _characteristics(s: SparkSession, d: str, made_by: dict[str, Query]) -> DataFrame:
     out = None
-    for name, made in made_by.items():
+    for name, made in workloads.ALL.items():
         row = stats.characteristics(made(s, d)).select(F.lit(name).alias("name"), "baskets", "items", "mean_length", "max_length")
         out = row if out is None else out.unionByName(row)
     return out

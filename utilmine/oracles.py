@@ -15,7 +15,7 @@ _BASE = {
     "customer_year_part": _SOLD.format(t="o_custkey * 10000 + year(o_orderdate)", i="l_partkey", p="p_size", j=f"{_YEAR} {_PART}"),
     "customer_year_supplier": _SOLD.format(t="o_custkey * 10000 + year(o_orderdate)", i="l_suppkey", p="1 + l_suppkey % 10", j=_YEAR),
     "order_brand": _SOLD.format(t="l_orderkey", i=_BRAND, p=f"1 + (7 * {_BRAND}) % 10", j=_PART),
-    "doc_tokens": "select doc_id as tid, t as item, count(*) as qty, length(t)::bigint as pr from (select doc_id, unnest(regexp_extract_all(lower(substring(text, 1, 200)), '[a-zéèàêçïü]+')) as t from documents) group by 1, 2, 4",
+    "doc_tokens": "select doc_id as tid, t as item, count(*) as qty, length(t)::bigint as pr from (select doc_id, unnest(regexp_extract_all(lower(text), '[a-zéèàêçïü]+')) as t from documents) group by 1, 2, 4",
     "order_record": """select tid, id as item, 1 + (tid * 7 + id * 13) % 5 as qty, 1 + (7 * id) % 10 as pr from
       (select tid, dense_rank() over (order by name) as id from (select o_orderkey as tid, unnest(['st=' || o_orderstatus, 'pri=' || o_orderpriority, 'seg=' || c_mktsegment, 'nat=' || c_nationkey, 'yr=' || year(o_orderdate), 'mon=' || month(o_orderdate),
        'tp=' || least(9, floor(o_totalprice / 50000)::bigint), 'bal=' || case when c_acctbal < 0 then 'neg' when c_acctbal < 5000 then 'mid' else 'hi' end]) as name from orders join customer on o_custkey = c_custkey))""",

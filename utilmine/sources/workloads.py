@@ -99,19 +99,11 @@ def event_lines(events: DataFrame) -> DataFrame:
     return lines.withColumn("pr", 1 + F.col("item") % 10)
 
 
-def _tokens(documents: DataFrame, text: Column) -> DataFrame:
-    found = F.regexp_extract_all(F.lower(text), F.lit("[a-zéèàêçïü]+"), F.lit(0))
-    rows = documents.select("doc_id", F.explode(found).alias("token"))
-    return baskets.from_lines(rows, "doc_id", "token", F.lit(1), F.length("token"))
-
-
 def doc_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _tokens(table(spark, sf_dir, "documents"), F.col("text"))
-
-
-def doc_tokens_head(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The tokens of the first 200 characters: not the whole workload, only what the SQL named doc_tokens reads."""
-    return _tokens(table(spark, sf_dir, "documents"), F.substring("text", 1, 200))
+    """The tokens of whole texts."""
+    found = F.regexp_extract_all(F.lower("text"), F.lit("[a-zéèàêçïü]+"), F.lit(0))
+    rows = table(spark, sf_dir, "documents").select("doc_id", F.explode(found).alias("token"))
+    return baskets.from_lines(rows, "doc_id", "token", F.lit(1), F.length("token"))
 
 
 ALL = {
@@ -123,5 +115,3 @@ ALL = {
     "user_day_key": user_day_key,
     "doc_tokens": doc_tokens,
 }
-#: The workloads as their SQL reads them.
-WITH_SQL = ALL | {"doc_tokens": doc_tokens_head}
