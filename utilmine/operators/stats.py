@@ -92,8 +92,9 @@ def pruning_counts(lines: DataFrame, grid: Iterable[tuple[int, int]]) -> DataFra
     rows, profit = [], baskets.profit_of(lines)
     for glmu, beta in grid:
         own = T.from_profit(profit, beta, glmu)
-        counts = search_counts(lines, own)
-        rows.append((glmu, beta, n1(lines, own)["kept"], *(counts[v]["nodes"] for v in VARIANTS)))
+        m = Miner(lines, own)
+        visited = [m.search(variant=v)[1].total("nodes") for v in VARIANTS]  # joins are not counted here
+        rows.append((glmu, beta, n1(lines, own)["kept"], *visited))
     return lines.sparkSession.createDataFrame(rows, "glmu long, beta long, n1 long, n2 long, n3 long, n4 long, n5 long")
 
 
