@@ -124,3 +124,13 @@ def test_plans_have_no_products(miner):
     plan = miner.enc._jdf.queryExecution().executedPlan().toString()
     assert "CartesianProduct" not in plan
     assert lists.construct(lists.item_lists(miner.enc)).where(F.lit(True))._jdf.queryExecution().executedPlan().toString().count("CartesianProduct") == 0
+
+
+def test_children_cut_after_their_sums(toy, monkeypatch):
+    monkeypatch.setattr("utilmine.operators.search.MOST_ROWS", 0)
+    counts = {}
+    for v in ("pair", "both"):
+        found, seen = Miner(*toy).search(variant=v, want_stats=True)
+        assert keyed(found) == HUIS
+        counts[v] = seen.total("nodes"), seen.total("joins")
+    assert counts == {"pair": (21, 16), "both": (16, 16)}
