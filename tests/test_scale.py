@@ -36,3 +36,11 @@ def test_enumeration_joins_no_itemsets(spark):
     assert {tuple(r["items"]): (r["utility"], r["support"], r["twu"]) for r in got.collect()} == want
     assert all(r["miu"] == min(i * 7 % 12 for i in r["items"]) and r["k"] == len(r["items"]) for r in got.collect())
     assert {tuple(r["items"]) for r in baselines.enumerate_all(lines, mu, 3).collect()} == {i for i in want if len(i) <= 3}
+
+
+def test_prices_are_not_broadcast(spark):
+    at = lambda y: datetime.datetime(y, 1, 1)
+    lines = spark.createDataFrame([(1, 5, 2, at(1995)), (2, 5, 3, at(1990)), (3, 6, 1, at(1999))], "tid long, item long, qty long, ts timestamp")
+    prices = spark.createDataFrame([(i, y - 1990 + i, at(y)) for i in (5, 6) for y in range(1991, 1998)], "item long, pr long, valid_from timestamp")
+    got = measures.asof_profit(lines, prices)
+    assert "Broadcast" not in plan_of(got) and {(r["tid"], r["pr"], r["u"]) for r in got.collect()} == {(1, 10, 20), (3, 13, 13)}
