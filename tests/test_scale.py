@@ -44,3 +44,12 @@ def test_prices_are_not_broadcast(spark):
     prices = spark.createDataFrame([(i, y - 1990 + i, at(y)) for i in (5, 6) for y in range(1991, 1998)], "item long, pr long, valid_from timestamp")
     got = measures.asof_profit(lines, prices)
     assert "Broadcast" not in plan_of(got) and {(r["tid"], r["pr"], r["u"]) for r in got.collect()} == {(1, 10, 20), (3, 13, 13)}
+
+
+def test_basket_minus_reads_the_tables(spark, sf):
+    got = catalog.QUERIES["basket_minus"](spark, sf)
+    whole = {}
+    for r in catalog.brand(spark, sf).collect():
+        whole.setdefault(r["tid"], []).append(r["item"])
+    want = {t: ",".join(str(i) for i in sorted(its) if i not in (3, 7)) or None for t, its in whole.items() if {3, 7} <= set(its)}
+    assert want and {r["tid"]: r["items"] for r in got.collect()} == want and "FileScan parquet" in plan_of(got)
