@@ -6,11 +6,15 @@ import datetime
 import itertools
 import random
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from utilmine import catalog
 from utilmine.functions import measures
-from utilmine.operators import baselines
+from utilmine.operators import baselines, stats, verify
+from utilmine.operators.mine import Miner
+from utilmine.operators.search import VARIANTS, Options
+from utilmine.operators.subtree import Walk
 
 
 def plan_of(df):
@@ -53,3 +57,49 @@ def test_basket_minus_reads_the_tables(spark, sf):
         whole.setdefault(r["tid"], []).append(r["item"])
     want = {t: ",".join(str(i) for i in sorted(its) if i not in (3, 7)) or None for t, its in whole.items() if {3, 7} <= set(its)}
     assert want and {r["tid"]: r["items"] for r in got.collect()} == want and "FileScan parquet" in plan_of(got)
+
+
+def repeated(spark):
+    """Baskets of few item sets, each many times with other utilities, and thresholds."""
+    rng = random.Random(6)
+    sets = [rng.sample(range(8), rng.randrange(2, 7)) for _ in range(5)]
+    return made(spark, [{i: rng.randrange(1, 20) for i in s} for s in sets for _ in range(12)]), spark.range(8).select(F.col("id").alias("item"), (60 + 40 * F.col("id")).alias("mu"))
+
+
+def test_equal_baskets_are_searched_once(spark):
+    lines, mu = repeated(spark)
+    m = Miner(lines, mu)
+    assert m.enc.count() == 60 and m.merged.count() == 5 and m.merged.agg(F.sum("n")).first()[0] == 60
+    want = baselines.enumerated_huis(lines, mu)
+    for engine in ("frontier", "lists", "subtree"):
+        assert verify.diff(want, m.search(engine)[0]).count() == 0
+    for tids in (False, True):
+        assert verify.diff(want, baselines.Levelwise(lines, mu, with_tids=tids).huis()).count() == 0
+
+
+def test_walks_count_what_the_frontier_visits(spark):
+    m = Miner(*repeated(spark))
+    for v in VARIANTS:
+        found, seen = m.search(variant=v)
+        assert m.visited(v) == (seen.total("nodes"), found.count()) == m.visited(v, root_budget=1)
+
+
+def test_level_wise_scans_join_no_unkept_itemsets(spark):
+    """A scan gives only rows of baskets that hold a candidate, each once."""
+    lines, mu = repeated(spark)
+    run = baselines.Levelwise(lines, mu)
+    kept = {tuple(r["node"]) for r in run.htwuis().collect()}
+    rows = [(tuple(r["node"]), r["tid"]) for r in run._met(3).collect()]
+    assert rows and len(rows) == len(set(rows)) and {n for n, _ in rows} == {n for n in kept if len(n) == 3}
+
+
+def test_workers_give_out_what_they_find_in_batches(spark, monkeypatch):
+    entries = 12
+    r, u = np.arange(entries), np.ones(entries, np.int64)
+    walk = Walk(r, u, u[::-1].cumsum()[::-1] - 1, np.full(entries, entries), u, Options(variant="base"), None, entries + 1)
+    monkeypatch.setattr("utilmine.operators.subtree.BATCH", 100)
+    held, rows = [], 0
+    for batch in walk.run(np.arange(1), np.zeros(1, np.int64)):
+        rows += batch.num_rows
+        held.append(batch.num_rows)
+    assert rows == walk.visited == 2 ** (entries - 1) and len(held) > 2 and not walk.found

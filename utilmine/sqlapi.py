@@ -15,23 +15,23 @@ from utilmine.operators.subtree import Walk, projected
 
 @udtf(returnType="node array<int>, mu1 long, iu long, support long")
 class MineSubtree:
-    """mine_subtree(TABLE(tails) PARTITION BY root): itemsets of the roots of a partition. tails has root, mu1 and tail (r, u, ru)."""
+    """mine_subtree(TABLE(tails) PARTITION BY root): itemsets of the roots of a partition. tails has root, mu1, n and tail (r, u, ru)."""
 
     def __init__(self) -> None:
-        self.rows: list[tuple[int, list]] = []
+        self.rows: list[tuple[int, int, list]] = []
 
     def eval(self, row: Row) -> None:
-        self.rows.append((row["mu1"], row["tail"]))
+        self.rows.append((row["mu1"], row["n"], row["tail"]))
 
     def terminate(self) -> Iterator[tuple]:
-        sizes = np.array([len(t) for _, t in self.rows])
+        sizes = np.array([len(t) for *_, t in self.rows])
         ends = np.cumsum(sizes)
-        r, u, ru = (np.array([x[c] for _, t in self.rows for x in t], np.int64) for c in ("r", "u", "ru"))
-        walk = Walk(r, u, ru, np.repeat(ends, sizes), Options(variant="look"), None, int(r.max(initial=0)) + 1)
-        walk.run(ends - sizes, np.array([m for m, _ in self.rows], np.int64))
-        for nodes, mu, total, support in walk.found:
-            for n, m, t, s in zip(nodes.tolist(), mu.tolist(), total.tolist(), support.tolist(), strict=True):
-                yield n, m, t, s
+        r, u, ru = (np.array([x[c] for *_, t in self.rows for x in t], np.int64) for c in ("r", "u", "ru"))
+        n = np.repeat(np.array([n for _, n, _ in self.rows], np.int64), sizes)
+        walk = Walk(r, u, ru, np.repeat(ends, sizes), n, Options(variant="look"), None, int(r.max(initial=0)) + 1)
+        for found in walk.run(ends - sizes, np.array([m for m, *_ in self.rows], np.int64)):
+            for row in found.to_pylist():
+                yield row["node"], row["mu1"], row["iu"], row["support"]
 
 
 def register(spark: SparkSession, lines: DataFrame, thresholds: DataFrame, huis: DataFrame | None = None) -> None:
@@ -40,7 +40,7 @@ def register(spark: SparkSession, lines: DataFrame, thresholds: DataFrame, huis:
     lines.createOrReplaceTempView("lines")
     thresholds.createOrReplaceTempView("thresholds")
     m.dictionary.items.createOrReplaceTempView("items")
-    projected(m.enc, m.dictionary).createOrReplaceTempView("tails")
+    projected(m.merged, m.dictionary).createOrReplaceTempView("tails")
     if huis is not None:
         huis.createOrReplaceTempView("huis")
     spark.udtf.register("mine_subtree", MineSubtree)
