@@ -93,6 +93,18 @@ def test_level_wise_scans_join_no_unkept_itemsets(spark):
     assert rows and len(rows) == len(set(rows)) and {n for n, _ in rows} == {n for n in kept if len(n) == 3}
 
 
+def test_grids_run_each_method_once(spark, monkeypatch):
+    lines = repeated(spark)[0].withColumn("pr", F.col("item") + 1)
+    runs, own = [], stats.Levelwise
+    monkeypatch.setattr(stats, "Levelwise", lambda *a, **k: runs.append(a) or own(*a, **k))
+    grid = [(100, 30), (200, 30), (300, 90)]
+    got = [tuple(r) for r in stats.pattern_counts(lines, grid).collect()]
+    assert len(runs) == 1
+    for g, b, hui, star, kept in got:
+        every = baselines.enumerate_all(lines, lines.groupBy("item").agg(F.greatest(F.lit(b) * F.min("pr"), F.lit(g)).alias("mu")))
+        assert (hui, star, kept) == tuple(every.agg(F.count_if(F.col("utility") >= F.col("miu")), F.count_if(F.col("utility") >= g), F.count_if(F.col("twu") >= F.col("miu"))).first())
+
+
 def test_workers_give_out_what_they_find_in_batches(spark, monkeypatch):
     entries = 12
     r, u = np.arange(entries), np.ones(entries, np.int64)
