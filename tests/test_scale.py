@@ -115,3 +115,8 @@ def test_workers_give_out_what_they_find_in_batches(spark, monkeypatch):
         rows += batch.num_rows
         held.append(batch.num_rows)
     assert rows == walk.visited == 2 ** (entries - 1) and len(held) > 2 and not walk.found
+
+
+def test_brand_thresholds_read_the_kept_lines(spark, sf):
+    lines, mu = catalog.brand_input(spark, sf)
+    assert "InMemoryTableScan" in plan_of(mu) and {tuple(r) for r in mu.collect()} == {tuple(r) for r in catalog.brand_mu(spark, sf).collect()}
