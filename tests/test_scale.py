@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from utilmine import catalog
 from utilmine.functions import measures
-from utilmine.operators import baselines, stats, verify
+from utilmine.operators import baselines, stats, subtree, verify
 from utilmine.operators.mine import Miner
 from utilmine.operators.search import VARIANTS, Options
 from utilmine.operators.subtree import Walk
@@ -120,3 +120,23 @@ def test_workers_give_out_what_they_find_in_batches(spark, monkeypatch):
 def test_brand_thresholds_read_the_kept_lines(spark, sf):
     lines, mu = catalog.brand_input(spark, sf)
     assert "InMemoryTableScan" in plan_of(mu) and {tuple(r) for r in mu.collect()} == {tuple(r) for r in catalog.brand_mu(spark, sf).collect()}
+
+
+def test_baskets_go_to_workers_packed(spark, monkeypatch):
+    """A group's part of a chunk is one row of bytes, without the tail items that the pair table rules out."""
+    rng = random.Random(11)
+    lines = made(spark, [{i: rng.randrange(1, 9) * (1 if i % 5 else 10) for i in rng.sample(range(20), rng.randrange(2, 9))} for _ in range(60)])
+    mu = spark.range(20).select(F.col("id").alias("item"), (300 + F.col("id")).alias("mu"))
+    m, o = Miner(lines, mu), Options()
+    table = subtree.shipped(m._pairs(o), m.dictionary)
+    rows = subtree.packed(m.merged.coalesce(1), m.dictionary, 4, table)
+    assert {f.dataType.typeName() for f in rows.schema} == {"integer", "long", "binary"}
+    got = rows.collect()
+    assert sum(r["root"] is not None for r in got) == m.dictionary.n and sum(r["size"] is not None for r in got) == 4
+    whole = m.merged.selectExpr("size(its) as w").selectExpr("sum(w * (w + 1) / 2) as n").first()["n"]
+    assert 0 < sum(len(r["r"] or b"") // 4 for r in got) < whole
+    want = baselines.enumerated_huis(lines, mu)
+    assert want.count() and verify.diff(want, m.search("subtree")[0]).count() == 0
+    monkeypatch.setattr(subtree, "shipped", lambda *a: None)
+    assert verify.diff(want, m.search("subtree")[0]).count() == 0
+    assert verify.diff(want, m.search("hybrid", root_budget=30)[0]).count() == 0
