@@ -140,3 +140,13 @@ def test_baskets_go_to_workers_packed(spark, monkeypatch):
     monkeypatch.setattr(subtree, "shipped", lambda *a: None)
     assert verify.diff(want, m.search("subtree")[0]).count() == 0
     assert verify.diff(want, m.search("hybrid", root_budget=30)[0]).count() == 0
+
+
+def test_packed_walks_of_bounded_length(spark):
+    """Many groups, chunks of a few entries and a longest length: roots and tails come together as in one group."""
+    lines, mu = repeated(spark)
+    m = Miner(lines, mu)
+    want = baselines.enumerated_huis(lines, mu, 3)
+    rows = subtree.packed(m.merged, m.dictionary, 7, None)
+    assert rows.where("root is null").select("__group").distinct().count() == min(7, m.dictionary.n)
+    assert want.count() and verify.diff(want, m.search("subtree", root_budget=3, max_len=3)[0]).count() == 0
