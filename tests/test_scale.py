@@ -150,3 +150,14 @@ def test_packed_walks_of_bounded_length(spark):
     rows = subtree.packed(m.merged, m.dictionary, 7, None)
     assert rows.where("root is null").select("__group").distinct().count() == min(7, m.dictionary.n)
     assert want.count() and verify.diff(want, m.search("subtree", root_budget=3, max_len=3)[0]).count() == 0
+
+
+def test_scalability_counts_kept_itemsets_without_candidates(spark, monkeypatch):
+    lines = repeated(spark)[0].withColumn("pr", F.col("item") + 1)
+    monkeypatch.setattr(stats, "n1", lambda *a: 1 / 0)  # the level-wise method makes a candidate of any two items
+    got = stats.scalability({"all": lines}, 500, 100).first()
+    every = baselines.enumerate_all(lines, lines.groupBy("item").agg(F.greatest(F.lit(100) * F.min("pr"), F.lit(500)).alias("mu")))
+    want = every.agg(F.count_if(F.col("utility") >= F.col("miu")), F.count_if(F.col("twu") >= F.col("miu"))).first()
+    assert (got["hui"], got["htwui"], got["baskets"]) == (*want, 60) and want[1] > want[0] > 0
+    m = Miner(lines, lines.groupBy("item").agg(F.greatest(F.lit(100) * F.min("pr"), F.lit(500)).alias("mu")))
+    assert m.kept() == m.kept(root_budget=1) == want[1]
