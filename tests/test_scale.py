@@ -161,3 +161,11 @@ def test_scalability_counts_kept_itemsets_without_candidates(spark, monkeypatch)
     assert (got["hui"], got["htwui"], got["baskets"]) == (*want, 60) and want[1] > want[0] > 0
     m = Miner(lines, lines.groupBy("item").agg(F.greatest(F.lit(100) * F.min("pr"), F.lit(500)).alias("mu")))
     assert m.kept() == m.kept(root_budget=1) == want[1]
+
+
+def test_runtimes_make_lines_once(spark, monkeypatch):
+    lines = repeated(spark)[0].withColumn("pr", F.col("item") + 1)
+    seen, own = [], stats.Miner
+    monkeypatch.setattr(stats, "Miner", lambda *a: seen.append(a) or own(*a))
+    assert stats.runtimes(lines, [(500, 100)], engines=("hybrid",), with_levelwise=False).count() == 4
+    assert len(seen) == 4 and all("InMemoryTableScan" in plan_of(df) for a in seen for df in a)
