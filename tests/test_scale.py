@@ -117,6 +117,13 @@ def test_workers_give_out_what_they_find_in_batches(spark, monkeypatch):
     assert rows == walk.visited == 2 ** (entries - 1) and len(held) > 2 and not walk.found
 
 
+def test_walks_name_pairs_of_many_items(spark):
+    names = np.array([60_000 * 70_000 + 60_001], np.int64)
+    r = np.array([60_000, 60_001], np.int32)
+    walk = Walk(r, np.array([2, 3]), np.array([3, 0]), np.array([2, 2]), np.array([1, 1]), Options(), (names, np.array([5])), 70_000)
+    assert [x["node"].to_pylist() for x in walk.run(np.array([0]), np.array([5]))] == [[[60_000, 60_001]]]
+
+
 def test_brand_thresholds_read_the_kept_lines(spark, sf):
     lines, mu = catalog.brand_input(spark, sf)
     assert "InMemoryTableScan" in plan_of(mu) and {tuple(r) for r in mu.collect()} == {tuple(r) for r in catalog.brand_mu(spark, sf).collect()}
