@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import datetime
 import itertools
+import math
 import random
 
 import numpy as np
@@ -117,6 +118,18 @@ def test_workers_give_out_what_they_find_in_batches(spark, monkeypatch):
     assert rows == walk.visited == 2 ** (entries - 1) and len(held) > 2 and not walk.found
 
 
+def test_chunks_are_bounded_by_what_they_expand_to(monkeypatch):
+    width, baskets = 24, 40
+    r = np.tile(np.arange(1, width + 1, dtype=np.int32), baskets)
+    u, stop = np.ones(len(r), np.int64), np.repeat(width * np.arange(1, baskets + 1), width)
+    walk = Walk(r, u, width - r.astype(np.int64), stop, u, Options(variant="both", max_len=3), None, width + 1)
+    expanded, after = [], subtree._after
+    monkeypatch.setattr(subtree, "CHUNK", 2000)
+    monkeypatch.setattr(subtree, "_after", lambda a, b: expanded.append((b - a).sum()) or after(a, b))
+    found = sum(x.num_rows for x in walk.run(np.arange(len(r)), np.full(len(r), 3 * baskets)))
+    assert found == math.comb(width, 3) and max(expanded) <= 2000
+
+
 def test_walks_name_pairs_of_many_items(spark):
     names = np.array([60_000 * 70_000 + 60_001], np.int64)
     r = np.array([60_000, 60_001], np.int32)

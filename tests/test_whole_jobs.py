@@ -104,6 +104,13 @@ def test_stream_windows_to_full_depth(spark, tmp_path):
     assert {((r["start"] - start).days // 7, r["key"], r["utility"], r["support"]) for r in rows} == want and max(k.count(",") for _, k, _, _ in want) > 2
 
 
+def test_stream_patterns_are_not_written_by_the_stream(spark, sf, monkeypatch):
+    put, seen = catalog.windows.run_to_table, []
+    monkeypatch.setattr(catalog.windows, "run_to_table", lambda *a: seen.append(put(*a)) or seen[-1])
+    assert "key" in catalog.QUERIES["stream_window_huis"](spark, sf).columns
+    assert seen[0].columns == ["start", "end", "user", "tu", "its"]
+
+
 def test_pruning_grids_are_whole(spark, sf, monkeypatch):
     monkeypatch.setattr(catalog.stats, "pruning_counts", lambda lines, grid: grid)
     for name, grid in (("glmu", catalog.GRID_GLMU), ("beta", catalog.GRID_BETA)):
