@@ -9,9 +9,12 @@ import random
 import re
 from collections import Counter, defaultdict
 
+import pyarrow as pa
+import pyarrow.compute as pc
 import pytest
 
 from utilmine import catalog
+from utilmine.operators import pairs
 
 TOKEN = re.compile("[a-zéèàêçïü]+")
 
@@ -51,6 +54,40 @@ def test_doc_tokens_reads_whole_texts(spark, texts):
     assert mined(catalog.QUERIES["hui_doc_tokens_whole_k2"](spark, folder)) == want and any("late" in k for k, _, _ in want)
 
 
+def test_doc_tokens_make_no_rows_of_pairs(spark, texts, monkeypatch):
+    monkeypatch.setattr(catalog, "Miner", None)  # its pair table and candidates are rows
+    plan = catalog.QUERIES["hui_doc_tokens_whole_k2"](spark, texts[0])._jdf.queryExecution().executedPlan().toString()
+    assert "posexplode" not in plan and "Join" not in plan
+
+
+@pytest.mark.parametrize("wide", [0, 1 << 40], ids=["sorted", "rows of sums"])
+def test_tiles_of_pairs(wide, monkeypatch):
+    rng = random.Random(wide)
+    weigh = {f"{c}{i}": 1 + 3 * i for i in range(12) for c in "aé"}
+    found = [(t, {x: rng.randrange(1, 5) * weigh[x] for x in rng.sample(list(weigh), rng.randrange(1, 20))}) for t in range(-20, 20)]
+    mu = {x: 40 * w for x, w in weigh.items()} | {"never": 0}
+    utility, support = Counter(), Counter()
+    for _, b in found:
+        for items in itertools.chain(itertools.combinations(sorted(b), 1), itertools.combinations(sorted(b), 2)):
+            utility[items] += sum(b[i] for i in items)
+            support[items] += 1
+    want = {(",".join(i), u, least, support[i]) for i, u in utility.items() if u >= (least := min(mu[x] for x in i))}
+    for name, value in (("WIDE", wide), ("BATCH", 50), ("GIVEN", 7), ("PACKED", 30)):
+        monkeypatch.setattr(pairs, name, value)
+    lines = pa.Table.from_pylist([{"tid": t, "item": i, "u": u} for t, b in found for i, u in b.items()]).to_batches(max_chunksize=20)
+    least = pa.Table.from_pylist([{"item": i, "mu": m} for i, m in mu.items()]).to_batches()
+
+    def grouped(batches):
+        rows = pa.Table.from_batches(batches)
+        return [rows.filter(pc.equal(rows["__key"], k)).to_batches(max_chunksize=1) for k in sorted(set(rows["__key"].to_pylist()))]
+
+    for n in (1, 3, 40):
+        packed = [*pairs._by_bucket(n, "lines")(lines), *pairs._by_bucket(n, "thresholds")(least)]
+        tiles = [b for group in grouped(packed) for b in pairs._to_tiles(n)(group)]
+        got = [r for group in grouped(tiles) for b in pairs._tile(n)(group) for r in b.to_pylist()]
+        assert len(got) == len(want) and {(r["key"], r["utility"], r["miu"], r["support"]) for r in got} == want and {r["k"] for r in got} == {1, 2}
+
+
 def test_characteristics_of_whole_texts(spark, sf):
     own = next(r for r in catalog.QUERIES["dataset_characteristics"](spark, sf).collect() if r["name"] == "doc_tokens")
     found = counted((r["doc_id"], r["text"]) for r in spark.read.parquet(f"{sf}/documents.parquet").collect())
