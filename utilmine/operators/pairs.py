@@ -17,7 +17,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 #: Lines of a bucket that are aimed at, the fewest buckets, lines that are packed at once, and pairs that are summed at once.
-BUCKET, FEWEST, PACKED, BATCH = 3_000_000, 6, 1 << 20, 1 << 20
+BUCKET, FEWEST, PACKED, BATCH = 3_000_000, 6, 1 << 19, 1 << 18
 #: A row of sums is made for an item if it is at most so many times as wide as the item's pairs are many.
 WIDE = 32
 #: Found pairs that a worker gives out at once.
@@ -34,9 +34,10 @@ def _small(x: np.ndarray) -> bytes:
 
 
 def _large(b: bytes) -> np.ndarray:
+    """The numbers of _small, kept as narrow as they are: to be widened before they are added."""
     kind = {1: np.uint8, 2: np.uint16, 4: np.uint32, 8: np.int64}[b[0]]
     size = int.from_bytes(b[1:9], "little")
-    return np.frombuffer(pa.Codec("zstd").decompress(b[9:], decompressed_size=size, asbytes=True) if size else b"", kind).astype(np.int64)
+    return np.frombuffer(pa.Codec("zstd").decompress(b[9:], decompressed_size=size, asbytes=True) if size else b"", kind)
 
 
 def _names(x: pa.Array) -> bytes:
@@ -112,7 +113,7 @@ def _to_tiles(n: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Record
                 least.append(_large(row["mu"]) if row["mu"] is not None else None)
         coded = pa.chunked_array(name).combine_chunks()
         coded = (coded.combine_chunks() if isinstance(coded, pa.ChunkedArray) else coded).dictionary_encode()
-        number, start = coded.indices.to_numpy().astype(np.int64), np.cumsum([0, *map(len, name)])
+        number, start = coded.indices.to_numpy(), np.cumsum([0, *map(len, name)])
         items = [number[start[i] : start[i + 1]][own] for i, own in enumerate(items)]
         mu = np.full(len(coded.dictionary), -1, np.int64)
         for own, values in zip(items, least, strict=True):
@@ -122,12 +123,12 @@ def _to_tiles(n: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Record
         if not lines:
             return
         tid, item, u = (np.concatenate([x[i] for i in lines]) for x in (tids, items, us))
+        del name, items, tids, us, least, number
         if (mu[item] < 0).any():
             raise ValueError("an item has no threshold")
-        order = np.lexsort((item, tid))
-        tid, item, u = tid[order], item[order], u[order]
-        steps = np.diff(tid, prepend=0)
-        blobs = [_small(steps), bucket.to_bytes(4, "little") + _small(item), _small(u), _names(coded.dictionary), _small(mu)]
+        order = np.lexsort((item, tid))  # by item within a basket, too, so that a pair has one order in all
+        tid, item, u = tid[order].astype(np.int64), item[order], u[order]
+        blobs = [_small(np.diff(tid, prepend=0)), bucket.to_bytes(4, "little") + _small(item), _small(u), _names(coded.dictionary), _small(mu)]
         for other in range(n):
             a, b = min(bucket, other), max(bucket, other)
             yield pa.record_batch([pa.array([a * n + b], pa.int32()), *(pa.array([x], pa.binary()) for x in blobs)], names=["__key", "tid", "item", "u", "name", "mu"])
@@ -140,8 +141,8 @@ class _Side:
 
     def __init__(self, row: dict):
         self.tile, self.bucket = row["__key"], int.from_bytes(row["item"][:4], "little")
-        self.tid, self.item, self.u = np.cumsum(_large(row["tid"])), _large(row["item"][4:]), _large(row["u"])
-        self.names, self.mu = _read_names(row["name"]), _large(row["mu"])
+        self.tid, self.item, self.u = np.cumsum(_large(row["tid"]), dtype=np.int64), _large(row["item"][4:]), _large(row["u"])
+        self.names, self.mu = _read_names(row["name"]), _large(row["mu"]).astype(np.int64)
 
 
 class _Found:
@@ -174,7 +175,7 @@ class _Found:
 
 def _singles(side: _Side) -> pa.RecordBatch:
     total, support = np.zeros(len(side.mu), np.int64), np.bincount(side.item, minlength=len(side.mu))
-    np.add.at(total, side.item, side.u)
+    np.add.at(total, side.item, side.u.astype(np.int64))
     at = np.flatnonzero((total >= side.mu) & (support > 0))
     return pa.record_batch({"key": side.names.take(pa.array(at)).cast(pa.string()), "k": pa.array(np.ones(len(at), np.int32)), "utility": pa.array(total[at]), "miu": pa.array(side.mu[at]), "support": pa.array(support[at].astype(np.int64))})
 
@@ -191,12 +192,14 @@ def _tile(n: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatc
         if same:
             yield _singles(a)
         found = _Found(a, b)
-        begin = np.arange(len(a.tid)) + 1 if same else np.searchsorted(b.tid, a.tid, "left")
-        end = np.searchsorted(b.tid, a.tid, "right")
+        begin = np.arange(1, len(a.tid) + 1) if same else np.searchsorted(b.tid, a.tid, "left")
+        begin, end = begin.astype(np.int32), np.searchsorted(b.tid, a.tid, "right").astype(np.int32)
+        a.tid = b.tid = None
         order = np.argsort(a.item, kind="stable")
         order = order[end[order] > begin[order]]
         if len(order):
-            yield from _summed(found, a.item[order], a.u[order], begin[order], end[order], (int(b.u.max()) + int(a.u.max())) * len(b.tid))
+            most = (int(b.u.max()) + int(a.u.max())) * len(b.u)
+            yield from _summed(found, a.item[order], a.u[order], begin[order], end[order], most)
         yield from found.rest()
 
     return sums
@@ -206,7 +209,7 @@ def _summed(found: _Found, item, u, begin, end, most: int) -> Iterator[pa.Record
     """item, u: lines of the one side in order of items; begin, end: where the other side's lines of their basket are; most: no sum is larger."""
     b, width = found.other, len(found.other.mu)
     heads = np.flatnonzero(np.append(True, item[1:] != item[:-1]))
-    stops, done = np.append(heads[1:], len(item)), np.append(0, np.cumsum(end - begin))
+    stops, done = np.append(heads[1:], len(item)), np.append(0, np.cumsum(end - begin, dtype=np.int64))
     pairs = done[stops] - done[heads]
     rows = (WIDE * pairs > width) & (most < 1 << 52)  # doubles add exactly below that
     first = 0
@@ -219,10 +222,10 @@ def _summed(found: _Found, item, u, begin, end, most: int) -> Iterator[pa.Record
         dense = np.flatnonzero(rows[first:last])
         last = first + int(dense[0]) if len(dense) else last
         at, to = heads[first], stops[last - 1]
-        n = end[at:to] - begin[at:to]
+        n = (end[at:to] - begin[at:to]).astype(np.int64)
         of = np.repeat(np.arange(at, to), n)
         y = np.arange(len(of)) - np.repeat(np.cumsum(n) - n - begin[at:to], n)
-        names, total, support = _sums(item[of] * width + b.item[y], u[of] + b.u[y])
+        names, total, support = _sums(item[of].astype(np.int64) * width + b.item[y], u[of].astype(np.int64) + b.u[y])
         yield from found.add(names // width, names % width, total, support)
         first = last
 
@@ -234,7 +237,7 @@ def _row_of_sums(b: _Side, u, begin, end, done, at: int, stop: int, width: int)
         to = max(at + 1, min(stop, int(np.searchsorted(done, done[at] + BATCH, "right")) - 1))
         spans = [slice(x, y) for x, y in zip(begin[at:to].tolist(), end[at:to].tolist(), strict=True)]
         y = np.concatenate([b.item[x] for x in spans])
-        w = np.concatenate([b.u[x] for x in spans]) + np.repeat(u[at:to], end[at:to] - begin[at:to])
+        w = np.concatenate([b.u[x] for x in spans]).astype(np.float64) + np.repeat(u[at:to], end[at:to] - begin[at:to])
         sums, count = np.bincount(y, w, width), np.bincount(y, minlength=width)
         total, support = (sums, count) if total is None else (total + sums, support + count)
         at = to
