@@ -130,6 +130,38 @@ def test_chunks_are_bounded_by_what_they_expand_to(monkeypatch):
     assert found == math.comb(width, 3) and max(expanded) <= 2000
 
 
+def one_basket(entries, options):
+    r, u = np.arange(1, entries + 1, dtype=np.int32), np.ones(entries, np.int64)
+    return Walk(r, u, entries - r.astype(np.int64), np.full(entries, entries), u, options, None, entries + 1)
+
+
+def test_batches_are_bounded_by_their_items(monkeypatch):
+    """Chunks find many itemsets at once, and long ones: neither makes a large batch."""
+    monkeypatch.setattr(subtree, "BATCH", 100)
+    monkeypatch.setattr(subtree, "CELLS", 600, raising=False)
+    seen, shape = set(), []
+    for batch in one_basket(13, Options()).run(np.arange(13), np.zeros(13, np.int64)):
+        rows = batch["node"].to_pylist()
+        seen |= {tuple(x) for x in rows}
+        shape.append((len(rows), sum(map(len, rows))))
+    assert sum(n for n, _ in shape) == len(seen) == 2**13 - 1
+    assert max(n for n, _ in shape) <= 100 and max(n for _, n in shape) <= 600
+
+
+def test_chunks_that_wait_are_bounded_at_any_depth(monkeypatch):
+    """Long itemsets are spelled right, and what waits does not grow by a whole chunk for each of their items."""
+    for name, value in (("CHUNK", 1000), ("STACK", 8000), ("LEAST", 60)):
+        monkeypatch.setattr(subtree, name, value, raising=False)
+    waits, own = [], Walk._room
+    monkeypatch.setattr(Walk, "_room", staticmethod(lambda held: waits.append(held) or own(held)))
+    entries, got = 60, []
+    for batch in one_basket(entries, Options()).run(np.arange(entries), np.full(entries, entries - 2)):
+        got += [tuple(x) for x in batch["node"].to_pylist()]
+    whole = set(range(1, entries + 1))
+    assert sorted(got) == sorted(tuple(sorted(whole - set(gone))) for k in range(3) for gone in itertools.combinations(whole, k))
+    assert 2000 < max(waits) <= 8000 + 60 * entries
+
+
 def test_walks_name_pairs_of_many_items(spark):
     names = np.array([60_000 * 70_000 + 60_001], np.int64)
     r = np.array([60_000, 60_001], np.int32)
