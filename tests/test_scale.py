@@ -221,3 +221,30 @@ def test_runtimes_make_lines_once(spark, monkeypatch):
     monkeypatch.setattr(stats, "Miner", lambda *a: seen.append(a) or own(*a))
     assert stats.runtimes(lines, [(500, 100)], engines=("hybrid",), with_levelwise=False).count() == 4
     assert len(seen) == 4 and all("InMemoryTableScan" in plan_of(df) for a in seen for df in a)
+
+
+def test_counts_share_the_pair_table_and_are_dealt_by_groups(spark, monkeypatch):
+    """A search and the counts of one input make one pair table; their walks go to a task for each group, whatever the bytes."""
+    lines, mu = repeated(spark)
+    made_, own = [], subtree.shipped
+    monkeypatch.setattr(subtree, "shipped", lambda *a: made_.append(a) or own(*a))
+    m = Miner(lines, mu)
+    found = m.search("hybrid")[0]
+    assert m.visited("both") == (m.search("frontier", want_stats=True)[1].total("nodes"), found.count())
+    assert m.kept() == m.kept(root_budget=1) > 0 and len(made_) == 1
+    assert "REPARTITION_BY_NUM" in plan_of(found)
+
+
+def test_counts_spell_no_itemsets(spark, monkeypatch):
+    lines, mu = repeated(spark)
+    m, o = Miner(lines, mu), Options()
+    rows = subtree.packed(m.merged, m.dictionary, 1, None).toArrow().to_batches()
+    monkeypatch.setattr(subtree.Walk, "_named", lambda *a: 1 / 0)
+    counts = [b.to_pylist()[0] for b in subtree.counter(o, None, m.dictionary.n + 1)(iter(rows))]
+    assert sum(c["found"] for c in counts) == baselines.enumerated_huis(lines, mu).count() > 0
+
+
+def test_shares_of_a_workload_read_its_kept_lines(spark, sf):
+    shares = catalog._nested(catalog.brand(spark, sf))
+    assert all("InMemoryTableScan" in plan_of(lines) for lines in shares.values())
+    shares["4/4"].unpersist()
