@@ -14,7 +14,7 @@ from utilmine import catalog
 from utilmine.functions import measures
 from utilmine.operators import baselines, stats, subtree, verify
 from utilmine.operators.mine import Miner
-from utilmine.operators.search import VARIANTS, Options
+from utilmine.operators.search import VARIANTS, Frontier, Options
 from utilmine.operators.subtree import Walk
 
 
@@ -248,3 +248,24 @@ def test_shares_of_a_workload_read_its_kept_lines(spark, sf):
     shares = catalog._nested(catalog.brand(spark, sf))
     assert all("InMemoryTableScan" in plan_of(lines) for lines in shares.values())
     shares["4/4"].unpersist()
+
+
+def test_runs_leave_no_cached_tables(spark):
+    lines = repeated(spark)[0].withColumn("pr", F.col("item") + 1)
+    held = spark.sparkContext._jsc.getPersistentRDDs
+    before = set(held())
+    assert stats.scalability({"all": lines}, 500, 100).count() == 1 and set(held()) <= before
+    assert stats.runtimes(lines, [(500, 100), (600, 100)], engines=("hybrid",), with_levelwise=False).where("done").count() == 8
+    assert len(set(held()) - before) <= 2  # the lines and profits
+
+
+def test_small_pair_tables_are_not_counted(spark, monkeypatch):
+    """A dictionary of few items has few pairs: workers get their table without a count of it, and the frontier its bound."""
+    lines, mu = repeated(spark)
+    m, own, counted = Miner(lines, mu), type(lines).count, []
+    m.merged
+    monkeypatch.setattr(type(lines), "count", lambda df: counted.append(df) or own(df))
+    names = subtree.shipped(m._pairs(Options()), m.dictionary).value[0]
+    run = Frontier(m.merged, m.dictionary, Options())
+    assert not counted and 0 < len(names) <= run.n_pairs == m.dictionary.n * (m.dictionary.n - 1) // 2
+    assert subtree.shipped(m._pairs(Options()), m.dictionary, most_pairs=len(names) - 1) is None
